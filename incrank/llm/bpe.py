@@ -13,6 +13,7 @@ import codecs
 import hashlib
 import json
 import os
+import struct
 from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame
 
 from .common import steps, texts_of
 
-#: What a worker remembers of pieces it has met: pieces, and characters in all.
+#: What a worker remembers of pieces it has met, in each of two generations: pieces, and characters in all.
 CACHE_PIECES, CACHE_CHARS = 1 << 18, 1 << 22
 
 
@@ -58,23 +59,34 @@ def tokenizer_json(ranks: dict[bytes, int]) -> str:
 
 
 class PieceEncoder:
-    """Encodes pieces of text one by one, and remembers those that come again."""
+    """Encodes pieces of text one by one, and remembers those that come again.
+
+    When a generation of pieces is full it becomes the old one, and pieces met again move on from there to the new one.
+    """
 
     def __init__(self, tokenizer, split) -> None:
-        self.tokenizer, self.split, self.seen, self.chars = tokenizer, split, {}, 0
+        self.tokenizer, self.split, self.seen, self.old, self.chars = tokenizer, split, {}, {}, 0
 
-    def learn(self, pieces: Iterable[str]) -> None:
-        for piece, got in zip(pieces, self.tokenizer.encode_batch(pieces, add_special_tokens=False), strict=True):
-            self.seen[piece] = np.array(got.ids, "<u4").tobytes()
+    def learn(self, pieces: list[str]) -> None:
+        unknown = []
+        for piece in pieces:
             self.chars += len(piece)
+            if (ids := self.old.get(piece)) is None:
+                unknown.append(piece)
+            else:
+                self.seen[piece] = ids
+        for piece, got in zip(unknown, self.tokenizer.encode_batch_fast(unknown, add_special_tokens=False), strict=True):
+            self.seen[piece] = struct.pack(f"<{len(got.ids)}I", *got.ids)
 
     def encode(self, text: str) -> bytes:
         """The ids of a text as little-endian unsigned 32-bit integers."""
         pieces = self.split(text)
         if len(self.seen) > CACHE_PIECES or self.chars > CACHE_CHARS:
-            self.seen, self.chars = {}, 0
-        if new := [p for p in dict.fromkeys(pieces) if p not in self.seen]:
-            self.learn(new)
+            self.old, self.seen, self.chars = self.seen, {}, 0
+        try:
+            return b"".join(map(self.seen.__getitem__, pieces))
+        except KeyError:
+            self.learn([p for p in dict.fromkeys(pieces) if p not in self.seen])
         return b"".join(map(self.seen.__getitem__, pieces))
 
 
