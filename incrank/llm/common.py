@@ -3,8 +3,6 @@
 from __future__ import annotations
 
 import math
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,42 +10,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Text bytes that one step of a Python kernel works on; bounds a worker's memory whatever the Arrow batch holds.
-STEP_BYTES = 1 << 20
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share; one of our own only where the session names none."""
-    path = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not path:
-        path = getattr(shared_dir, "own", None) or tempfile.mkdtemp(prefix="incrank-")
-        shared_dir.own = path
-        path = f"file://{path}"
-    return path.rstrip("/")
-
+from ..session import drop_path, scratch, shared_dir, ship, stored  # noqa: F401
 
-def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path for a written table, in the shared folder."""
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
-
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Delete a table written by :func:`stored` that nothing reads any more."""
-    jvm = spark.sparkContext._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write a table into the shared folder and read it back: cuts lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = scratch(spark, name)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+#: Text bytes that one step of a Python kernel works on; bounds a worker's memory whatever the Arrow batch holds.
+STEP_BYTES = 1 << 20
 
 
 def texts_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Only the identifier (as long) and the text, where null counts as empty; other columns never get in."""
+    ship(docs.sparkSession)
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
 
 

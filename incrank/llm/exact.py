@@ -99,4 +99,3 @@ def exact_dedup(docs: DataFrame, digest=sha256) -> DataFrame:
     return rest.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"), "locator").unionByName(apart)
 
 
-__all__ = ["digest_log", "drop_path", "exact_dedup", "folded", "keyed_state", "run_stream"]

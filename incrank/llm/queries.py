@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, exact, media, packing, sharding, tokencounts
+from . import bpe, exact, media, packing, quality, sharding, tokencounts, toxicity
 from .common import table
 
 
@@ -29,11 +29,19 @@ def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.round_trip(table(spark, sf_dir, "documents"), spec, public_tokenizers.PATTERN)
 
 
+def op5_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.importance_resample(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op6_uniform_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     placed = sharding.shuffled_shards(table(spark, sf_dir, "documents"), shards=16)
     return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op8_toxic_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencounts.edited_counts(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.PATTERN)
 
@@ -42,7 +50,7 @@ _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefgh
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op6_uniform_shards, op9_token_counts)}
+    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op5_importance_resampling, op6_uniform_shards, op8_toxic_passages, op9_token_counts)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -115,4 +115,3 @@ def shuffled_shards(docs: DataFrame, shards: int = 16, seed: int = 42, rows_per_
     return dealt(slim).join(F.broadcast(offsets), ["shard", "cell"]).select("doc_id", "size", "text_crc32", "shard", (F.col("first") + F.row_number().over(order) - 1).alias("slot"))
 
 
-__all__ = ["communication_matrix", "hypergeometric", "shard_sizes", "shuffled_shards"]
