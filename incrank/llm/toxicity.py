@@ -30,7 +30,7 @@ PREFIXES = (5, 6)
 MAX_LABELLED = 30_000
 #: How many standard errors log-odds lose, what they must still reach to count, what each word costs, and the prior's least count.
 CAUTION, LEAST_ODDS, DRIFT, PRIOR = 2.33, 1.0, 0.1, 0.5
-LEAST, MOST = -6.0, 12.0
+LEAST, MOST = -12.0, 24.0
 
 
 def features(offsets: np.ndarray, data: np.ndarray) -> tuple[list[tuple[np.ndarray, np.ndarray]], np.ndarray, np.ndarray]:
