@@ -49,6 +49,8 @@ def run_stream(spark: SparkSession, log_path: str, schema, state_path: str, file
     """
     session = spark.newSession()
     session.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKSDB)
+    # Each state partition's store would set aside megabytes of disk for logs that stay small.
+    session.conf.set("spark.sql.streaming.stateStore.rocksdb.allowFAllocate", "false")
     session.conf.set("spark.sql.shuffle.partitions", partitions_for(spark))
     session.conf.set("spark.sql.session.timeZone", "UTC")
 
