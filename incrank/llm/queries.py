@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, exact, media, packing, quality, sharding, tokencounts, toxicity
+from . import bpe, exact, media, packing, quality, sharding, suffix, tokencounts, toxicity
 from .common import table
 
 
@@ -46,11 +46,15 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencounts.edited_counts(table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.PATTERN)
 
 
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix.repeat_digests(table(spark, sf_dir, "documents"))
+
+
 _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op5_importance_resampling, op6_uniform_shards, op8_toxic_passages, op9_token_counts)}
+    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op5_importance_resampling, op6_uniform_shards, op8_toxic_passages, op9_token_counts, op10_suffix_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
