@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, exact, media, packing, quality, sharding, suffix, tokencounts, toxicity
+from . import bpe, exact, media, neardup, packing, quality, sharding, suffix, tokencounts, toxicity
 from .common import table
 
 
@@ -38,6 +38,10 @@ def op6_uniform_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
+def op7_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op8_toxic_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score_documents(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -54,7 +58,7 @@ _FOLDED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefgh
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op5_importance_resampling, op6_uniform_shards, op8_toxic_passages, op9_token_counts, op10_suffix_dedup)}
+    return {f.__name__: f for f in (op1_tiff_pages, op2_best_fit_packing, op3_exact_dedup, op4_byte_bpe, op5_importance_resampling, op6_uniform_shards, op7_near_duplicates, op8_toxic_passages, op9_token_counts, op10_suffix_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
