@@ -64,30 +64,38 @@ class PieceEncoder:
     When a generation of pieces is full it becomes the old one, and pieces met again move on from there to the new one.
     """
 
+    limit = CACHE_PIECES, CACHE_CHARS
+
     def __init__(self, tokenizer, split) -> None:
         self.tokenizer, self.split, self.seen, self.old, self.chars = tokenizer, split, {}, {}, 0
 
-    def learn(self, pieces: list[str]) -> None:
-        unknown = []
-        for piece in pieces:
-            self.chars += len(piece)
-            if (ids := self.old.get(piece)) is None:
-                unknown.append(piece)
+    def learn(self, pieces: list[str]) -> dict[str, bytes]:
+        """Ids of pieces not met before."""
+        got = self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)
+        return {p: struct.pack(f"<{len(g.ids)}I", *g.ids) for p, g in zip(pieces, got, strict=True)}
+
+    def encode_pieces(self, texts: list[list[str]]) -> list[bytes]:
+        """Ids of split texts. Their different pieces are looked up once, so that most look-ups are in a small table."""
+        here, unknown, seen, old = {}, [], self.seen, self.old
+        for p in set().union(*texts):
+            if (ids := seen.get(p)) is not None:
+                here[p] = ids
+            elif (ids := old.get(p)) is not None:
+                here[p] = seen[p] = ids
             else:
-                self.seen[piece] = ids
-        for piece, got in zip(unknown, self.tokenizer.encode_batch_fast(unknown, add_special_tokens=False), strict=True):
-            self.seen[piece] = struct.pack(f"<{len(got.ids)}I", *got.ids)
-
-    def encode(self, text: str) -> bytes:
-        """The ids of a text as little-endian unsigned 32-bit integers."""
-        pieces = self.split(text)
-        if len(self.seen) > CACHE_PIECES or self.chars > CACHE_CHARS:
-            self.old, self.seen, self.chars = self.seen, {}, 0
-        try:
-            return b"".join(map(self.seen.__getitem__, pieces))
-        except KeyError:
-            self.learn([p for p in dict.fromkeys(pieces) if p not in self.seen])
-        return b"".join(map(self.seen.__getitem__, pieces))
+                unknown.append(p)
+        if unknown:
+            new = self.learn(unknown)
+            here |= new
+            seen |= new
+            self.chars += sum(map(len, unknown))
+        if len(seen) > self.limit[0] or self.chars > self.limit[1]:
+            self.old, self.seen, self.chars = seen, {}, 0
+        return [b"".join(map(here.__getitem__, t)) for t in texts]
+
+    def encode_texts(self, texts: list[str]) -> list[bytes]:
+        """The ids of each text as little-endian unsigned 32-bit integers."""
+        return self.encode_pieces(list(map(self.split, texts)))
 
 
 @lru_cache(maxsize=2)
@@ -164,7 +172,7 @@ def round_trip(docs: DataFrame, spec: str, pattern: str) -> DataFrame:
     def kernel(batches):
         enc = encoder(spec, pattern)
         for batch in steps(batches):
-            ids = [enc.encode(t) for t in batch.column(1).to_pylist()]
+            ids = enc.encode_texts(batch.column(1).to_pylist())
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array([hashlib.sha256(x).hexdigest() for x in ids]), pa.array([hashlib.sha256(decode_bytes(spec, x)).hexdigest() for x in ids])],
                 ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],

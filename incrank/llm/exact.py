@@ -101,3 +101,21 @@ def exact_dedup(docs: DataFrame, digest=sha256) -> DataFrame:
     return rest.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"), "locator").unionByName(apart)
 
 
+
+
+def keep_last_copies(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs``, all columns as they are, without exact copies: of equal texts the row with the largest doc_id stays.
+
+    Of repeated rows, and of equal texts of which none has a doc_id, one stays.
+    """
+    result = stored(exact_dedup(docs), "exact")
+    kept = result.where("kept").select("doc_id", F.col("text_sha256").alias("exact_digest"))
+    marked = docs.withColumn("exact_digest", F.lower(F.hex(sha256(folded(F.coalesce("text", F.lit("")))))))
+    # doc_id is in the join's key, so that copies spread over all tasks.
+    out = marked.where("doc_id IS NOT NULL").join(kept.where("doc_id IS NOT NULL").distinct(), ["doc_id", "exact_digest"], "left_semi").select(*marked.columns)
+    if not kept.where("doc_id IS NOT NULL").groupBy("doc_id", "exact_digest").count().where("count > 1").isEmpty():
+        out = out.dropDuplicates(["doc_id", "exact_digest"])
+    if not kept.where("doc_id IS NULL").isEmpty():
+        no_id = marked.where("doc_id IS NULL").join(kept.where("doc_id IS NULL").select("exact_digest").distinct(), "exact_digest", "left_semi")
+        out = out.unionByName(no_id.select(*marked.columns).dropDuplicates(["exact_digest"]))
+    return out.drop("exact_digest")

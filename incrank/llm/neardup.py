@@ -303,3 +303,15 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     classes = members.join(label.withColumnRenamed("node", "rep_id"), "rep_id", "left").select("doc_id", F.coalesce("component", "rep_id").alias("class_id"), "rep_id")
     alone = texts.where("doc_id IS NULL").select("doc_id", F.lit(None).cast("long").alias("class_id"), F.lit(None).cast("long").alias("rep_id"))
     return classes.unionByName(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("class_id")))
+
+
+def keep_class_heads(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
+    """The rows of ``docs``, all columns as they are, of which each class of near-duplicates keeps one; rows without doc_id stay."""
+    result = stored(near_duplicates(docs, least), "near")
+    heads = result.where("kept AND doc_id IS NOT NULL").select("doc_id")
+    out = docs.where("doc_id IS NOT NULL").join(heads.distinct().hint("shuffle_hash"), "doc_id", "left_semi").select(*docs.columns)
+    if not heads.groupBy("doc_id").count().where("count > 1").isEmpty():
+        out = out.dropDuplicates(["doc_id"])
+    if not result.where("doc_id IS NULL").isEmpty():
+        out = out.unionByName(docs.where("doc_id IS NULL"))
+    return out

@@ -24,24 +24,64 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import PieceEncoder
-from .common import steps, stored, texts_of
+from .common import STEP_BYTES, steps, stored, texts_of
 
 CAPACITY = 2048
 #: Texts with any of these take the library's whole path: beyond Latin, information separators, special tokens' spelling.
 _UNUSUAL = re.compile("[\x1c-\x1fɐ-\U0010ffff]|<\\|")
 
 
+#: Signs that, after a word, are a piece of their own.
+_SIGNS = ".,;:!?"
+
+
 class WordEncoder(PieceEncoder):
     """Ids of a lower-casing word BPE whose pieces never cross white space.
 
-    So what stands between white space can be encoded, and remembered, by itself.
-    Texts with unusual characters are handed to the library whole.
+    So what stands between white space can be encoded, and remembered, by itself. A word is one piece and its last id
+    says that it ends, so many new words go through the library as one text; a
+    sign after a word is another piece. Texts with unusual characters are handed to the library whole.
     """
 
-    def ids(self, text: str) -> bytes:
-        if _UNUSUAL.search(text):
-            return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        return self.encode(text.lower())
+    limit = 1 << 19, 1 << 23
+
+    def __init__(self, tokenizer, split) -> None:
+        super().__init__(tokenizer, split)
+        vocab = tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+        self.signs = {c: np.array(tokenizer.encode(c, add_special_tokens=False).ids, "<u4").tobytes() for c in _SIGNS}
+
+    def encode_texts(self, texts: list[str]) -> list[bytes]:
+        out = self.encode_pieces([[] if _UNUSUAL.search(t) else t.lower().split() for t in texts])
+        for k, text in enumerate(texts):
+            if not out[k] and text:
+                out[k] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return out
+
+    def learn(self, pieces: list[str]) -> dict[str, bytes]:
+        seen, words, signed, rest = self.seen, {}, [], []
+        for piece in pieces:
+            if piece.isalpha():
+                words[piece] = None
+            elif piece[-1] in _SIGNS and (word := piece[:-1]).isalpha():
+                signed.append(piece)
+                if word not in seen:
+                    words[word] = None
+            else:
+                rest.append(piece)
+        got = super().learn(rest) if rest else {}
+        if words:
+            todo = list(words)
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(todo)], add_special_tokens=False)[0].ids, "<u4")
+            cuts = [0, *(4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()]
+            block = ids.tobytes()
+            for word, a, b in zip(todo, cuts[:-1], cuts[1:], strict=True):
+                got[word] = block[a:b]
+        for piece in signed:
+            word = piece[:-1]
+            got[piece] = (got.get(word) or seen[word]) + self.signs[piece[-1]]
+        return got
 
 
 @lru_cache(maxsize=2)
@@ -59,10 +99,10 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY,
 
     def kernel(batches):
         enc, end = word_encoder(tokenizer_path), np.array([end_id], "<u4").tobytes()
-        for batch in steps(batches):
+        for batch in steps(batches, step=4 * STEP_BYTES):
             rows = []
-            for key, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ids = enc.ids(text) + end
+            for key, ids in zip(batch.column(0).to_pylist(), enc.encode_texts(batch.column(1).to_pylist()), strict=True):
+                ids += end
                 for k, at in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[at : at + 4 * capacity]
                     rows.append((key, k, at // 4, len(part) // 4, zlib.crc32(part)))

@@ -561,3 +561,32 @@ def repeat_digests(docs: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([_ids(batch.column(0)), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     return _with_verdicts(docs).mapInArrow(kernel, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
+
+
+def strip_repeats(docs: DataFrame) -> DataFrame:
+    """The rows of ``docs`` with repeated passages removed from their texts and n_chars, where there is such a column, set anew.
+
+    All other columns stay as they are, and so do null texts. See :func:`remove_repeats`.
+    """
+    known = verdicts(docs).select(F.col("doc_id").alias("repeat_doc_id"), F.col("blocks").alias("repeat_blocks")).hint("shuffle_hash")
+    columns = docs.columns
+    at, chars = columns.index("text"), columns.index("n_chars") if "n_chars" in columns else None
+    both = docs.join(known, F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == known["repeat_doc_id"], "left").select(*columns, "repeat_blocks")
+
+    def kernel(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            texts = []
+            for text, blocks in zip(batch.column(at).to_pylist(), batch.column(len(columns)).to_pylist(), strict=True):
+                if text is not None and blocks:
+                    raw = text.encode()
+                    text = without(raw, whole_characters(raw, removed_spans(blocks, len(raw)))).decode()
+                texts.append(text)
+            arrays = list(batch.columns[:-1])
+            arrays[at] = pa.array(texts, arrays[at].type)
+            if chars is not None:
+                arrays[chars] = pa.array([None if t is None else len(t) for t in texts], arrays[chars].type)
+            yield pa.RecordBatch.from_arrays(arrays, columns)
+
+    return both.mapInArrow(kernel, docs.schema)

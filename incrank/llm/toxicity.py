@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import _POWERS, LOWER, WORD_CLASS, column_bytes, mix64, steps, stored, texts_of, word_hashes
+from .common import _POWERS, LOWER, WORD_CLASS, column_bytes, mix64, ship, steps, stored, texts_of, word_hashes
 
 #: Slots of the score table; a slot also has the 64-bit hash it stands for, so other words that fall into it stay neutral.
 SLOTS = 1 << 18
@@ -322,3 +322,18 @@ def score_documents(docs: DataFrame, labels: DataFrame, most: int = MAX_LABELLED
     scored = score_texts(docs, fit(docs, labels, may_learn, most))
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 5 == 0, F.lit(True))
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+def keep_clean(docs: DataFrame, model: ToxicityModel, text_col: str = "text") -> DataFrame:
+    """The rows of ``docs``, all columns as they are, whose texts score below one half; null text counts as empty."""
+    ship(docs.sparkSession)
+    at = docs.columns.index(text_col)
+
+    def kernel(batches):
+        for batch in batches:
+            text = batch.column(at).fill_null("")
+            parts = [model.probability(evidence_of(model, *column_bytes(part.column(0)))) for part in steps([pa.RecordBatch.from_arrays([text], ["text"])])]
+            if parts:
+                yield batch.filter(pa.array(np.concatenate(parts) < 0.5))
+
+    return docs.mapInArrow(kernel, docs.schema)
