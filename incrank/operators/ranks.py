@@ -21,9 +21,26 @@ from ..sources.workloads import BUILDERS
 REFERENCE = RankConfig(tau=1e-100, max_supersteps=150)
 
 
+_runs: dict[tuple, RankRun] = {}
+
+
 def run(spark: SparkSession, sf_dir: str, workload: str, method: str, cfg: RankConfig | None = None, scope: str = "either") -> RankRun:
-    p = prepared(spark, sf_dir, workload)
-    return run_method(method, p.old, p.new, p.delta, p.base, cfg or RankConfig(), scope)
+    """A method's run on a workload's first batch. Runs are written tables: ranks, trace, share and error of one run share it."""
+    key = (spark.sparkContext.applicationId, sf_dir, workload, method, cfg, scope)
+    if key not in _runs:
+        p = prepared(spark, sf_dir, workload)
+        _runs[key] = run_method(method, p.old, p.new, p.delta, p.base, cfg or RankConfig(), scope)
+    return _runs[key]
+
+
+_references: dict[tuple, RankRun] = {}
+
+
+def reference(spark: SparkSession, sf_dir: str, workload: str) -> RankRun:
+    key = (spark.sparkContext.applicationId, sf_dir, workload)
+    if key not in _references:
+        _references[key] = reference_rank(prepared(spark, sf_dir, workload).new, REFERENCE)
+    return _references[key]
 
 
 def result(run_: RankRun) -> DataFrame:
@@ -44,8 +61,7 @@ def affected(spark: SparkSession, sf_dir: str, workload: str, method: str) -> Da
 
 
 def error(spark: SparkSession, sf_dir: str, workload: str, method: str) -> DataFrame:
-    p = prepared(spark, sf_dir, workload)
-    ref = reference_rank(p.new, REFERENCE)
+    ref = reference(spark, sf_dir, workload)
     return measures.l1_error(run(spark, sf_dir, workload, method).ranks, ref.ranks).select(F.floor(F.col("l1") * 1e10 + 0.5).cast("bigint").alias("l1_e10"))
 
 

@@ -26,7 +26,9 @@ def local_session(cores: int = 8, partitions: int = 8, **more: str) -> SparkSess
 
 
 def ship(spark: SparkSession) -> None:
-    """Send this package to the Python workers, once for each application: they need not have it installed."""
+    """Send this package to the Python workers, once for each application: they need not have it installed. Also bounds Arrow batches by bytes."""
+    # Batches of a few megabytes: what a worker and its executor's Arrow buffers hold does not depend on how long rows are.
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(4 << 20))
     app = spark.sparkContext.applicationId
     if app in _shipped:
         return
