@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 import math
 from collections.abc import Iterator
 
@@ -53,6 +54,14 @@ def steps(batches: Iterator[pa.RecordBatch], column: str = "text", step: int = S
             end = max(start + 1, int(np.searchsorted(offsets, offsets[start] + step, side="right")) - 1)
             yield batch.slice(start, min(end, batch.num_rows) - start)
             start = end
+    give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the system: idle workers of earlier stages stay, and an executor's memory is one pool."""
+    pa.default_memory_pool().release_unused()
+    if (trim := getattr(ctypes.CDLL(None), "malloc_trim", None)) is not None:
+        trim(0)
 
 
 def mix64(x: np.ndarray) -> np.ndarray:

@@ -51,6 +51,10 @@ def run_stream(spark: SparkSession, log_path: str, schema, state_path: str, file
     session.conf.set("spark.sql.streaming.stateStore.providerClass", ROCKSDB)
     # Each state partition's store would set aside megabytes of disk for logs that stay small.
     session.conf.set("spark.sql.streaming.stateStore.rocksdb.allowFAllocate", "false")
+    # An executor's stores share one bounded cache, and finished ones are unloaded soon.
+    session.conf.set("spark.sql.streaming.stateStore.rocksdb.boundedMemoryUsage", "true")
+    session.conf.set("spark.sql.streaming.stateStore.rocksdb.maxMemoryUsageMB", "128")
+    session.conf.set("spark.sql.streaming.stateStore.maintenanceInterval", "10s")
     session.conf.set("spark.sql.shuffle.partitions", partitions_for(spark))
     session.conf.set("spark.sql.session.timeZone", "UTC")
 

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import release_shuffles
-from .common import STEP_BYTES, column_bytes, mix64, partitions_for, steps, stored, texts_of
+from .common import STEP_BYTES, column_bytes, give_back, mix64, partitions_for, steps, stored, texts_of
 
 LENGTH, TOKEN = 50, 24
 #: Records that a task holds before it sends them; strings of one run at most (more would not share its first and last string's bytes).
@@ -278,6 +278,8 @@ def judge_runs(parts: int):
         edge = several & ~removed
         keep = removed | edge
         yield from (_rows([r]) for r in by_home(docs[keep], first[keep].astype(np.int64), count[keep].astype(np.int64), np.where(edge[keep], EDGE, REMOVED), parts))
+        del token, print_, docs, first, count, order
+        give_back()
 
     return kernel
 
