@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 
 from .common import steps, texts_of
 
-#: What a worker remembers of pieces it has met, in each of two generations: pieces, and characters in all.
+#: What a worker remembers of pieces it has met: pieces, and characters in all.
 CACHE_PIECES, CACHE_CHARS = 1 << 18, 1 << 22
 
 
@@ -61,13 +61,14 @@ def tokenizer_json(ranks: dict[bytes, int]) -> str:
 class PieceEncoder:
     """Encodes pieces of text one by one, and remembers those that come again.
 
-    When a generation of pieces is full it becomes the old one, and pieces met again move on from there to the new one.
+    What is remembered is bounded: when full it stays as it is, until so many pieces of a block are new
+    that the text must have changed; then it starts anew.
     """
 
     limit = CACHE_PIECES, CACHE_CHARS
 
     def __init__(self, tokenizer, split) -> None:
-        self.tokenizer, self.split, self.seen, self.old, self.chars = tokenizer, split, {}, {}, 0
+        self.tokenizer, self.split, self.seen, self.chars = tokenizer, split, {}, 0
 
     def learn(self, pieces: list[str]) -> dict[str, bytes]:
         """Ids of pieces not met before."""
@@ -75,23 +76,28 @@ class PieceEncoder:
         return {p: struct.pack(f"<{len(g.ids)}I", *g.ids) for p, g in zip(pieces, got, strict=True)}
 
     def encode_pieces(self, texts: list[list[str]]) -> list[bytes]:
-        """Ids of split texts. Their different pieces are looked up once, so that most look-ups are in a small table."""
-        here, unknown, seen, old = {}, [], self.seen, self.old
-        for p in set().union(*texts):
-            if (ids := seen.get(p)) is not None:
-                here[p] = ids
-            elif (ids := old.get(p)) is not None:
-                here[p] = seen[p] = ids
-            else:
-                unknown.append(p)
-        if unknown:
-            new = self.learn(unknown)
-            here |= new
-            seen |= new
-            self.chars += sum(map(len, unknown))
-        if len(seen) > self.limit[0] or self.chars > self.limit[1]:
-            self.old, self.seen, self.chars = seen, {}, 0
-        return [b"".join(map(here.__getitem__, t)) for t in texts]
+        """Ids of split texts. What the texts of a block have new is learnt together."""
+        known, found, gaps = self.seen.get, [], []
+        for pieces in texts:
+            ids = list(map(known, pieces))
+            k = -1
+            try:
+                while True:
+                    k = ids.index(None, k + 1)
+                    gaps.append((ids, k, pieces[k]))
+            except ValueError:
+                found.append(ids)
+        if gaps:
+            unknown = {g[2] for g in gaps}
+            new = self.learn(list(unknown))
+            for ids, k, piece in gaps:
+                ids[k] = new[piece]
+            if len(self.seen) < self.limit[0] and self.chars < self.limit[1]:
+                self.seen |= new
+                self.chars += sum(map(len, unknown))
+            elif 5 * len(gaps) > sum(map(len, texts)):
+                self.seen, self.chars = {}, 0
+        return list(map(b"".join, found))
 
     def encode_texts(self, texts: list[str]) -> list[bytes]:
         """The ids of each text as little-endian unsigned 32-bit integers."""

@@ -31,6 +31,12 @@ CAPACITY = 2048
 _UNUSUAL = re.compile("[\x1c-\x1fɐ-\U0010ffff]|<\\|")
 
 
+def unusual(text: str) -> bool:
+    if text.isascii():
+        return "<|" in text or any(c in text for c in "\x1c\x1d\x1e\x1f")
+    return _UNUSUAL.search(text) is not None
+
+
 #: Signs that, after a word, are a piece of their own.
 _SIGNS = ".,;:!?"
 
@@ -53,20 +59,20 @@ class WordEncoder(PieceEncoder):
         self.signs = {c: np.array(tokenizer.encode(c, add_special_tokens=False).ids, "<u4").tobytes() for c in _SIGNS}
 
     def encode_texts(self, texts: list[str]) -> list[bytes]:
-        out = self.encode_pieces([[] if _UNUSUAL.search(t) else t.lower().split() for t in texts])
+        out = self.encode_pieces([[] if unusual(t) else t.split() for t in texts])
         for k, text in enumerate(texts):
             if not out[k] and text:
                 out[k] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
         return out
 
     def learn(self, pieces: list[str]) -> dict[str, bytes]:
-        seen, words, signed, rest = self.seen, {}, [], []
+        words, signed, rest = {}, [], []
         for piece in pieces:
             if piece.isalpha():
                 words[piece] = None
             elif piece[-1] in _SIGNS and (word := piece[:-1]).isalpha():
                 signed.append(piece)
-                if word not in seen:
+                if word not in self.seen:
                     words[word] = None
             else:
                 rest.append(piece)
@@ -80,7 +86,7 @@ class WordEncoder(PieceEncoder):
                 got[word] = block[a:b]
         for piece in signed:
             word = piece[:-1]
-            got[piece] = (got.get(word) or seen[word]) + self.signs[piece[-1]]
+            got[piece] = (got.get(word) or self.seen[word]) + self.signs[piece[-1]]
         return got
 
 
