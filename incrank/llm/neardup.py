@@ -47,7 +47,7 @@ def shingles(offsets: np.ndarray, data: np.ndarray) -> tuple[np.ndarray, np.ndar
     words = np.bincount(owner, minlength=n)
     with np.errstate(over="ignore"):
         runs = hashes.copy()
-        for j in range(1, WORDS):
+        for j in range(1, min(WORDS, len(runs))):
             runs[: len(runs) - j] += hashes[j:] * _POWERS[2 * j]
         runs = mix64(runs)
         ends = np.cumsum(words)

@@ -62,7 +62,7 @@ def weigh(docs: DataFrame, ratio: np.ndarray, seed: int) -> DataFrame:
     def kernel(batches):
         for batch in steps(batches):
             buckets, owner = ngram_buckets(*column_bytes(batch.column(1)))
-            weight = np.bincount(owner, weights=ratio[buckets], minlength=batch.num_rows)
+            weight = np.bincount(owner, weights=ratio[buckets], minlength=batch.num_rows).astype(np.float64)
             ids = batch.column(0).fill_null(-1).to_numpy(zero_copy_only=False)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.bincount(owner, minlength=batch.num_rows)), pa.array(weight), pa.array(weight + gumbel_noise(ids, seed))], ["doc_id", "n_grams", "log_weight", "draw"])
 

@@ -157,7 +157,7 @@ def shingle_marks(batches):
         firsts = np.searchsorted(owner, np.arange(batch.num_rows + 1))
         runs = hashes.copy()
         with np.errstate(over="ignore"):
-            for j in range(1, 5):
+            for j in range(1, min(5, len(runs))):
                 runs[: len(runs) - j] += hashes[j:] * _POWERS[2 * j]
         whole = np.append(owner[4:], np.full(min(4, len(owner)), -1)) == owner if len(owner) else np.zeros(0, bool)
         marks = np.zeros((MARKS, batch.num_rows), np.uint64)
