@@ -83,6 +83,14 @@ def number_rows(df: DataFrame, order: list[str], name: str = "seq") -> DataFrame
     return ranged.withColumn(name, first + F.col("row_place").bitwiseAND(F.lit((1 << 33) - 1)) + 1).drop("row_place")
 
 
+def successors(df: DataFrame, group: str, order: list[str], value: str, name: str) -> DataFrame:
+    """Each row with its group's next ``value`` in order, for groups too large for one task: rows are numbered by range partitions,
+    and a row meets the one with the next number. A group's last row has none and goes."""
+    rows = number_rows(df, [group, *order], "row_number_in_all")
+    after = rows.select((F.col("row_number_in_all") - 1).alias("row_number_in_all"), F.col(group).alias("group_after"), F.col(value).alias(name))
+    return rows.join(after, "row_number_in_all").where(F.col(group) == F.col("group_after")).drop("row_number_in_all", "group_after")
+
+
 def encode_vertices(df: DataFrame, columns: list[str], key: str = "key") -> DataFrame:
     """Dictionary (key, id) of string keys, ids dense from 0 in key order."""
     keys = df.select(F.col(columns[0]).alias(key))

@@ -13,24 +13,44 @@ from .model import MethodPlan, RankConfig
 
 
 
-def push_shares(edges: DataFrame, state: DataFrame) -> DataFrame:
-    """dst, sum of shares: every source sends its share along its edges; sums form before the shuffle."""
-    shares = state.where("deg > 0").select(F.col("id").alias("src"), (F.col("rank") / F.col("deg")).alias("share"))
-    return edges.join(shares, "src").groupBy(F.col("dst").alias("id")).agg(F.sum("share").alias("share_sum"), F.count(F.lit(1)).alias("in_edges"))
+def salted(edges: DataFrame, degrees: DataFrame, salts: int, hub_degree: int) -> DataFrame:
+    """Edges with a salt: those of hubs are dealt over ``salts`` values by target, all others have 0."""
+    hubs = degrees.where(F.col("out_deg") > hub_degree).select(F.col("id").alias("src"), F.lit(True).alias("hub"))
+    return edges.join(F.broadcast(hubs), "src", "left").select("src", "dst", F.when(F.col("hub"), F.pmod(F.xxhash64("dst"), F.lit(salts))).otherwise(F.lit(0)).cast("int").alias("salt"))
 
 
-def pull_shares(edges: DataFrame, state: DataFrame, frontier: DataFrame) -> DataFrame:
-    """As :func:`push_shares`, for the vertices of ``frontier`` only: their in-edges are picked first."""
-    return push_shares(edges.join(frontier.select(F.col("id").alias("dst")), "dst", "left_semi"), state)
+def push_shares(edges: DataFrame, state: DataFrame, salts: int = 1, hub_degree: int = 0) -> DataFrame:
+    """dst, sum of shares: every source sends its share along its edges; sums form before the shuffle.
+
+    With salts, edges come from :func:`salted` and a hub's share is sent to each of its parts.
+    """
+    shares = state.where("deg > 0").select(F.col("id").alias("src"), (F.col("rank") / F.col("deg")).alias("share"), "deg")
+    on = ["src"]
+    if salts > 1:
+        each = F.when(F.col("deg") > hub_degree, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))
+        shares, on = shares.withColumn("salt", F.explode(each)), ["src", "salt"]
+    return edges.join(shares.drop("deg"), on).groupBy(F.col("dst").alias("id")).agg(F.sum("share").alias("share_sum"), F.count(F.lit(1)).alias("in_edges"))
 
 
-def superstep(edges: DataFrame, state: DataFrame, n: int, plan: MethodPlan, cfg: RankConfig, direction: str, all_affected: bool, base_extra: float = 0.0) -> DataFrame:
+def pull_shares(edges: DataFrame, state: DataFrame, frontier: DataFrame, small: bool = False, salts: int = 1, hub_degree: int = 0) -> DataFrame:
+    """As :func:`push_shares`, for the vertices of ``frontier`` only: their in-edges are picked first.
+
+    ``small`` says that the frontier has been counted and may be sent to all tasks.
+    """
+    wanted = frontier.select(F.col("id").alias("dst"))
+    return push_shares(edges.join(F.broadcast(wanted) if small else wanted, "dst", "left_semi"), state, salts, hub_degree)
+
+
+def superstep(edges: DataFrame, state: DataFrame, n: int, plan: MethodPlan, cfg: RankConfig, direction: str, all_affected: bool, base_extra: float = 0.0, small: bool = False, salts: int = 1) -> DataFrame:
     """State after one round: affected vertices get new ranks, settled ones leave, changes past the tolerance mark out-neighbours.
 
     A fresh mark wins over settling. ``was`` says who was processed in this round.
     """
     active = state.where("affected").select("id")
-    sums = push_shares(edges, state) if direction == "push" or all_affected else pull_shares(edges, state, active)
+    if direction == "push" or all_affected:
+        sums = push_shares(edges, state, salts, cfg.hub_degree)
+    else:
+        sums = pull_shares(edges, state, active, small, salts, cfg.hub_degree)
     both = state.select("id", "rank", "deg", "affected", "ever").join(sums, "id", "left")
     share = F.coalesce("share_sum", F.lit(0.0)) + F.lit(base_extra)
     plain = plain_rank(share, n, cfg.alpha)

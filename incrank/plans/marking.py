@@ -29,26 +29,39 @@ def settle(rel: Column, tau_p: float) -> Column:
     return rel <= F.lit(tau_p)
 
 
-def reachable(edges: DataFrame, start: DataFrame, most_levels: int | None = None) -> DataFrame:
-    """id, depth of everything reachable from ``start``, itself included; one level a job, cut into tables."""
+def reachable(edges: DataFrame, start: DataFrame, most_levels: int | None = None, most_rows: int | None = None) -> DataFrame | None:
+    """id, depth of everything reachable from ``start``, itself included; one level a job, cut into tables.
+
+    None as soon as there are more than ``most_rows``.
+    """
     seen = stored(start.select("id", F.lit(0).alias("depth")).distinct(), "reach")
-    level, depth = seen.select("id"), 0
+    level, depth, total = seen.select("id"), 0, seen.count() if most_rows is not None else 0
     while most_levels is None or depth < most_levels:
         depth += 1
         fresh = stored(spread(edges, level).join(seen, "id", "left_anti").select("id", F.lit(depth).alias("depth")), "reach")
-        if fresh.isEmpty():
+        n = fresh.count()
+        if not n:
             break
+        total += n
+        if most_rows is not None and total > most_rows:
+            return None
         seen, level = seen.unionByName(fresh), fresh.select("id")
     return seen
 
 
-def reach_set(old: Snapshot, new: Snapshot, delta: DataFrame, scope: str = "either") -> DataFrame:
+def reach_set(old: Snapshot, new: Snapshot, delta: DataFrame, scope: str = "either", most_share: float | None = None) -> DataFrame | None:
     """Everything reachable from a changed edge's source: in the old graph or in the new one (``either``: two closures,
-    taken as one over edges tagged by side), or in their union (``union``: a superset, one closure)."""
+    taken as one over edges tagged by side), or in their union (``union``: a superset, one closure).
+
+    None if more than ``most_share`` of the vertices are reached: marking them would cost more than it saves.
+    """
     start = sources(delta)
+    limit = None if most_share is None else int(most_share * new.n_vertices)
     if scope == "union":
-        return reachable(old.edges.unionByName(new.edges).distinct(), start).select("id")
+        seen = reachable(old.edges.unionByName(new.edges).distinct(), start, most_rows=limit)
+        return None if seen is None else seen.select("id")
     # two closures at once: vertex 2v is v in the old graph, 2v+1 is v in the new one
     both = old.edges.select((F.col("src") * 2).alias("src"), (F.col("dst") * 2).alias("dst")).unionByName(new.edges.select((F.col("src") * 2 + 1).alias("src"), (F.col("dst") * 2 + 1).alias("dst")))
     begin = start.select((F.col("id") * 2).alias("id")).unionByName(start.select((F.col("id") * 2 + 1).alias("id")))
-    return reachable(both, begin).select(F.shiftright("id", 1).alias("id")).distinct()
+    seen = reachable(both, begin, most_rows=None if limit is None else 2 * limit)
+    return None if seen is None else seen.select(F.shiftright("id", 1).alias("id")).distinct()

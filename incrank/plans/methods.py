@@ -22,9 +22,9 @@ def warm_rank(g: Snapshot, prev: DataFrame, cfg: RankConfig = DEFAULT) -> RankRu
     return solve(g, WARM, cfg, prev)
 
 
-def reach_rank(old: Snapshot, new: Snapshot, delta: DataFrame, prev: DataFrame, cfg: RankConfig = DEFAULT, scope: str = "either") -> RankRun:
-    """Only what a changed edge's source reaches, from the previous ranks."""
-    return solve(new, REACH, cfg, prev, reach_set(old, new, delta, scope))
+def reach_rank(old: Snapshot, new: Snapshot, delta: DataFrame, prev: DataFrame, cfg: RankConfig = DEFAULT, scope: str = "either", most_share: float | None = None) -> RankRun:
+    """Only what a changed edge's source reaches, from the previous ranks; everything, where that is more than ``most_share`` of the vertices."""
+    return solve(new, REACH, cfg, prev, reach_set(old, new, delta, scope, most_share))
 
 
 def frontier_rank(old: Snapshot, new: Snapshot, delta: DataFrame, prev: DataFrame, cfg: RankConfig = DEFAULT, plan: MethodPlan = FRONTIER) -> RankRun:

@@ -39,6 +39,7 @@ class RankConfig:
     local_edges: int = 2_000_000
     broadcast_rows: int = 1_000_000
     push_share: float = 0.05
+    hub_degree: int = 1_000_000
 
     def but(self, **changes) -> RankConfig:
         return replace(self, **changes)

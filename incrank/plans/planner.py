@@ -24,6 +24,6 @@ def broadcast_frontier(cfg: RankConfig, affected: int) -> bool:
     return affected <= cfg.broadcast_rows
 
 
-def unroll(affected: int, last_seconds: float) -> int:
-    """Rounds worth planning in one job: several when a round is all overhead."""
-    return 1 if affected > 100_000 or last_seconds > 5 else 2
+def hub_salts(cfg: RankConfig, max_out_degree: int) -> int:
+    """Into how many parts the edges of a hub are dealt; 1 where no source has more than ``hub_degree`` edges."""
+    return 1 if max_out_degree <= cfg.hub_degree else min(256, -(-max_out_degree // cfg.hub_degree))

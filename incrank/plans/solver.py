@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from ..session import drop_path, scratch, shared_dir, ship
 from . import planner
-from .kernel import local_solve, mark, superstep
+from .kernel import local_solve, mark, salted, superstep
 from .model import MethodPlan, RankConfig, RankRun, Snapshot
 
 STEP = "id bigint, rank double, deg bigint, was boolean, ever boolean, dr double, hot boolean, settled boolean, in_edges bigint, affected boolean"
@@ -64,7 +64,9 @@ def _distributed(g: Snapshot, state: DataFrame, plan: MethodPlan, cfg: RankConfi
     spark = g.edges.sparkSession
     shared_dir(spark)
     parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
-    by_src = g.edges.repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
+    salts = planner.hub_salts(cfg, g.degrees.agg(F.coalesce(F.max("out_deg"), F.lit(0))).first()[0])
+    laid = g.edges.repartition(parts, "src") if salts == 1 else salted(g.edges, g.degrees, salts, cfg.hub_degree).repartition(parts, "src", "salt")
+    by_src = laid.persist(StorageLevel.MEMORY_AND_DISK)
     factor = g.n_vertices / cfg.scale_vertices if cfg.tolerance_scale == "mean_rank" else 1.0
     trace: list[dict] = []
     paths: list[str] = []
@@ -75,7 +77,8 @@ def _distributed(g: Snapshot, state: DataFrame, plan: MethodPlan, cfg: RankConfi
             began = time.perf_counter()
             way = "push" if n_affected is None or everything else planner.direction(cfg, n_affected, g.n_vertices)
             extra = last_sinks / g.n_vertices if cfg.dangling == "redistribute" else 0.0
-            moved = superstep(by_src, state, g.n_vertices, plan, cfg, way, everything, extra)
+            small = n_affected is not None and planner.broadcast_frontier(cfg, n_affected)
+            moved = superstep(by_src, state, g.n_vertices, plan, cfg, way, everything, extra, small, salts)
             if plan.expand:
                 moved = _written(moved, paths, "moved", STEP.replace(", affected boolean", ""))
             seen = Observation(f"round-{uuid.uuid4().hex}")

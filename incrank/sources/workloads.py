@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions.vectors import nearest
-from ..plans.graph import encode_vertices, number_rows, vertices_of
+from ..plans.graph import encode_vertices, number_rows, successors, vertices_of
 
 TEMPORAL = ("event_flow", "user_item", "part_flow", "cust_supp", "supp_part")
 STATIC = ("order_chain", "turn_chain", "web_links", "knn", "geo_tree")
@@ -27,7 +27,7 @@ def read(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFram
 def event_flow(spark: SparkSession, sf_dir: str) -> DataFrame:
     """User to the next user with an event of the same type."""
     e = read(spark, sf_dir, "events", "event_id", "ts", "user_id", "event_type")
-    e = e.withColumn("dst", F.lead("user_id").over(Window.partitionBy("event_type").orderBy("ts", "event_id"))).where("dst IS NOT NULL")
+    e = successors(e, "event_type", ["ts", "event_id"], "user_id", "dst")
     return number_rows(e.select(F.col("user_id").alias("src"), "dst", "ts", "event_id"), ["ts", "event_id"]).select("src", "dst", "seq")
 
 

@@ -189,3 +189,41 @@ def test_plan_of_a_round(spark):
     assert "Exchange hashpartitioning(src" not in before
     scan = workloads.read(spark, SF, "lineitem", "l_partkey").where("l_partkey = 7")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_partkey), EqualTo(l_partkey,7)]" in scan and "ReadSchema: struct<l_partkey:bigint>" in scan
+
+
+def test_hubs_are_salted(spark):
+    """A source with more edges than a hub may have is dealt over several parts; results stay."""
+    edges = [(0, k) for k in range(1, 40)] + [(k, (k * 7) % 40) for k in range(1, 40)]
+    g = graph(spark, edges)
+    cfg = RankConfig(engine="distributed", max_supersteps=4)
+    a, b = M.cold_rank(g, cfg), M.cold_rank(g, cfg.but(hub_degree=10))
+    assert l1_error(a.ranks, b.ranks).first()[0] < 1e-15 and [t["edges_read"] for t in a.trace] == [t["edges_read"] for t in b.trace]
+
+
+def test_dead_ends_can_be_spread(spark):
+    g = graph(spark, [(0, 1), (1, 2), (0, 2)], loops=False)
+    cfg = RankConfig(dangling="redistribute", max_supersteps=6)
+    a, b = M.cold_rank(g, cfg.but(engine="local")), M.cold_rank(g, cfg.but(engine="distributed"))
+    assert l1_error(a.ranks, b.ranks).first()[0] < 1e-15 and a.ranks.agg(F.sum("rank")).first()[0] == pytest.approx(1)
+
+
+def test_reach_gives_up_beyond_its_share(spark):
+    p = prepared(spark, SF, "part_flow")
+    assert reach_set(p.old, p.new, p.delta, most_share=0.0) is None
+    run = M.reach_rank(p.old, p.new, p.delta, p.base, most_share=0.0)
+    assert run.trace[0]["n_affected"] == p.new.n_vertices
+
+
+def test_growing_graphs_mark_everything(spark):
+    from incrank.plans.methods import carry_ranks
+
+    old = spark.createDataFrame([(1, 0.5), (2, 0.5)], "id bigint, rank double")
+    ranks_, all_ = carry_ranks(spark.range(1, 5), old, "grow")
+    assert all_ and {r["id"]: r["rank"] for r in ranks_.collect()} == {1: 0.25, 2: 0.25, 3: 0.25, 4: 0.25}
+
+
+def test_scaling_report(spark):
+    from incrank.plans.experiments import scaling_report
+
+    got = scaling_report(spark, SF, "event_flow", (1, 2), 1e-3, ("pruned",)).toPandas()
+    assert sorted(got.cores) == [1, 2] and (got.seconds > 0).all() and got[got.cores == 1].speedup.tolist() == [1.0]
