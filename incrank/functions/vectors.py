@@ -32,6 +32,17 @@ def nearest(vectors: DataFrame, k: int, block_rows: int = 500) -> DataFrame:
     return rows.withColumn("place", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("similarity"), "dst"))).where(F.col("place") <= k)
 
 
+def pairs_above(vectors: DataFrame, least: float, block_rows: int = 500) -> DataFrame:
+    """a, b, where a < b and their cosine is above ``least``, exactly: every vector meets each block of vectors once."""
+    unit = vectors.select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+    unit = unit.withColumn("v", F.transform("v", lambda x: x / F.sqrt(dot(F.col("v"), F.col("v")))))
+    blocks = unit.groupBy(F.floor(F.col("id") / block_rows).alias("block")).agg(F.collect_list(F.struct("id", "v")).alias("members"))
+    first = F.floor(F.col("id") / block_rows)
+    queries = unit.withColumn("block", F.explode(F.sequence(first, F.lit(_last_block(vectors, block_rows)))))
+    near = F.transform(F.filter("members", lambda m: (m["id"] > F.col("id")) & (F.round(dot(m["v"], F.col("v")), 9) > least)), lambda m: m["id"])
+    return queries.join(blocks, "block").select(F.col("id").alias("a"), F.explode(near).alias("b"))
+
+
 def _last_block(vectors: DataFrame, block_rows: int) -> int:
     top = vectors.agg(F.max("vec_id")).first()[0]
     return int(top or 0) // block_rows

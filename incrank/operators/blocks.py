@@ -72,10 +72,11 @@ def b_teleport_and_uniform(spark, sf_dir):
     return spark.range(1).select(F.lit(n).cast("bigint").alias("vertices"), e9(teleport(n, 0.85) * 1000).alias("teleport"), e9(F.lit(1.0 / n) * 1000).alias("uniform"))
 
 
-@op(f"{base_ctes('geo_tree')}, b AS (SELECT * FROM base_ranks WHERE id % 5 <> 0) SELECT v.id, {E9.format('coalesce(r * (SELECT count(*) FROM b) / (SELECT n FROM cnt), 1.0 / (SELECT n FROM cnt))')} AS rank_e9 FROM v LEFT JOIN b ON b.id = v.id")
+@op(f"{base_ctes('geo_tree')}, b AS (SELECT * FROM base_ranks WHERE id IN (SELECT src FROM eo WHERE src <> dst)) SELECT v.id, {E9.format('coalesce(r * (SELECT count(*) FROM b) / (SELECT n FROM cnt), 1.0 / (SELECT n FROM cnt))')} AS rank_e9 FROM v LEFT JOIN b ON b.id = v.id")
 def b_carry_over_grown(spark, sf_dir):
     p = prepared(spark, sf_dir, "geo_tree")
-    return carry_ranks(p.new.vertices, p.base.where("id % 5 <> 0"), "grow")[0].select("id", e9(F.col("rank")).alias("rank_e9"))
+    had = p.base.join(p.old.edges.where("src <> dst").select(F.col("src").alias("id")), "id", "left_semi")
+    return carry_ranks(p.new.vertices, had, "grow")[0].select("id", e9(F.col("rank")).alias("rank_e9"))
 
 
 @op(f"WITH {oracles.graph_sql('turn_chain')} SELECT src, dst FROM en")
@@ -118,10 +119,10 @@ def b_seed_marks(spark, sf_dir):
     return marking.seed_frontier(p.old, p.new, p.delta)
 
 
-@op(f"WITH {oracles.graph_sql('part_flow')} SELECT DISTINCT dst AS id FROM en WHERE src % 100 = 0")
+@op(f"WITH {oracles.graph_sql('part_flow')} SELECT DISTINCT dst AS id FROM en WHERE src IN (SELECT src FROM delta)")
 def b_spread(spark, sf_dir):
     p = prepared(spark, sf_dir, "part_flow")
-    return marking.spread(p.new.edges, p.new.vertices.where("id % 100 = 0"))
+    return marking.spread(p.new.edges, marking.sources(p.delta))
 
 
 _MOVED = f"{base_ctes('part_flow')}, {_SUMS}, c AS (SELECT b.id, r AS old, 0.15 / (SELECT n FROM cnt) + 0.85 * s AS new, deg FROM base_ranks b JOIN sh ON sh.id = b.id JOIN dn ON dn.id = b.id)"
@@ -157,10 +158,10 @@ def b_reach_union(spark, sf_dir):
     return marking.reach_set(p.old, p.new, p.delta, "union")
 
 
-@op(f"{base_ctes('part_flow')}, {_SUMS} SELECT id, {E9.format('s')} AS s FROM sh WHERE id % 50 = 0")
+@op(f"{base_ctes('part_flow')}, {_SUMS} SELECT id, {E9.format('s')} AS s FROM sh WHERE id IN (SELECT dst FROM eo WHERE src IN (SELECT src FROM delta) UNION SELECT dst FROM en WHERE src IN (SELECT src FROM delta))")
 def b_pull_shares(spark, sf_dir):
     p = prepared(spark, sf_dir, "part_flow")
-    return pull_shares(p.new.edges, state_of(p), p.new.vertices.where("id % 50 = 0")).select("id", e9(F.col("share_sum")).alias("s"))
+    return pull_shares(p.new.edges, state_of(p), marking.seed_frontier(p.old, p.new, p.delta)).select("id", e9(F.col("share_sum")).alias("s"))
 
 
 @op(f"{base_ctes('part_flow')}, {_SUMS} SELECT id, {E9.format('s')} AS s FROM sh")

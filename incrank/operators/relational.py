@@ -180,13 +180,12 @@ def join_sort_merge(spark, sf_dir):
 _CS_NEW = oracles.method_ctes("cust_supp", "pruned")
 
 
-@op(f"{_CS_NEW}, a AS (SELECT id, CAST(floor(r * 1e9 + 0.5) AS BIGINT) AS x FROM base_ranks WHERE id % 3 <> 0), b AS (SELECT id, CAST(floor(r * 1e9 + 0.5) AS BIGINT) AS y FROM {oracles.last('run')} WHERE id % 3 <> 1) SELECT coalesce(a.id, b.id) AS id, x, y FROM a FULL JOIN b ON a.id = b.id")
+@op(f"WITH {oracles.graph_sql('order_chain')}, a AS (SELECT src AS id, count(*) AS x FROM eo WHERE src <> dst GROUP BY src), b AS (SELECT src AS id, count(*) AS y FROM en WHERE src <> dst GROUP BY src) SELECT coalesce(a.id, b.id) AS id, x, y FROM a FULL JOIN b ON a.id = b.id")
 def join_outer(spark, sf_dir):
-    from .ranks import run
-
-    old = base_ranks(spark, sf_dir, "cust_supp").where("id % 3 <> 0").select("id", rank_e9(F.col("rank")).alias("x"))
-    new = run(spark, sf_dir, "cust_supp", "pruned").ranks.where("id % 3 <> 1").select("id", rank_e9(F.col("rank")).alias("y"))
-    return old.join(new, "id", "full")
+    """Out-degrees before and after a batch; either may be missing."""
+    p = prepared(spark, sf_dir, "order_chain")
+    deg = lambda g, name: out_degrees(g.edges.where("src <> dst")).withColumnRenamed("out_deg", name)
+    return deg(p.old, "x").join(deg(p.new, "y"), "id", "full")
 
 
 @op(f"{oracles.method_ctes('part_flow', 'frontier')} SELECT src, dst FROM en WHERE dst IN (SELECT id FROM seed)")
@@ -197,20 +196,19 @@ def join_semi(spark, sf_dir):
     return p.new.edges.join(seed_frontier(p.old, p.new, p.delta).withColumnRenamed("id", "dst"), "dst", "left_semi").select("src", "dst")
 
 
-@op(f"SELECT src, dst FROM {edge_sql('part_flow')} WHERE NOT (src % 7 = 0 AND dst % 2 = 0)")
+@op(f"WITH {oracles.graph_sql('order_chain')} SELECT src, dst FROM eo WHERE (src, dst) NOT IN (SELECT (src, dst) FROM delta WHERE op = '-')")
 def join_anti(spark, sf_dir):
-    e = edges_of(spark, sf_dir, "part_flow")
-    return e.join(e.where("src % 7 = 0 AND dst % 2 = 0"), ["src", "dst"], "left_anti").select("src", "dst")
+    """Edges that survive a batch's deletions."""
+    p = prepared(spark, sf_dir, "order_chain")
+    return p.old.edges.join(p.delta.where("op = '-'"), ["src", "dst"], "left_anti").select("src", "dst")
 
 
-@op("SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE a.vec_id < 60 AND b.vec_id < 60 AND round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) > 0.1")
+@op("SELECT a.vec_id AS a, b.vec_id AS b FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) > 0.3")
 def join_cross_theta(spark, sf_dir):
-    """Pairs by a predicate that is no equality: a nested loop, so both sides are kept to the first 60 vectors, as the report is."""
-    from ..functions.vectors import cosine
+    """Pairs by a predicate that is no equality: all vectors in blocks against all, exactly."""
+    from ..functions.vectors import pairs_above
 
-    v = read(spark, sf_dir, "embeddings", "vec_id", "embedding").where("vec_id < 60")
-    a, b = v.select(F.col("vec_id").alias("a"), F.col("embedding").alias("x")), v.select(F.col("vec_id").alias("b"), F.col("embedding").alias("y"))
-    return a.join(b, (F.col("a") < F.col("b")) & (F.round(cosine(F.col("x"), F.col("y")), 9) > 0.1)).select("a", "b")
+    return pairs_above(read(spark, sf_dir, "embeddings", "vec_id", "embedding"), 0.3)
 
 
 @op("SELECT event_id, band FROM events JOIN (SELECT i AS band, i * 7.5 AS lo, i * 7.5 + 11.0 AS hi FROM (SELECT unnest(range(40)) AS i)) ON value >= lo AND value < hi")
@@ -222,15 +220,15 @@ def join_range(spark, sf_dir):
     return e.join(bands, "bin").where("value >= lo AND value < hi").select("event_id", "band")
 
 
-_VERSIONS = "SELECT event_id AS version, ts FROM events WHERE event_id % 97 = 0"
+_VERSIONS = "SELECT event_id AS version, ts FROM events WHERE event_type = 'signup'"
 
 
 @op(f"SELECT e.event_id, v.version FROM events e ASOF LEFT JOIN ({_VERSIONS}) v ON e.ts >= v.ts")
 def join_asof(spark, sf_dir):
     """The last version not after each event: both in one order, the last version seen carried on. Range partitions are
     sorted and each carries on within itself; the last version of each partition, one row, is carried over on the driver."""
-    e = read(spark, sf_dir, "events", "event_id", "ts")
-    both = e.select("ts", "event_id", F.lit(None).cast("bigint").alias("version")).unionByName(e.where("event_id % 97 = 0").select("ts", F.lit(None).cast("bigint").alias("event_id"), F.col("event_id").alias("version")))
+    e = read(spark, sf_dir, "events", "event_id", "ts", "event_type")
+    both = e.select("ts", "event_id", F.lit(None).cast("bigint").alias("version")).unionByName(e.where("event_type = 'signup'").select("ts", F.lit(None).cast("bigint").alias("event_id"), F.col("event_id").alias("version")))
     from ..session import stored
 
     parts = stored(both.repartitionByRange(int(spark.conf.get("spark.sql.shuffle.partitions")), "ts").withColumn("part", F.spark_partition_id()), "asof")
@@ -381,25 +379,24 @@ def topk_per_group(spark, sf_dir):
     return _nation_ranks(spark, sf_dir).withColumn("k", F.row_number().over(w).cast("bigint")).where("k <= 2").select("region", "nation", "k")
 
 
-@op(f"WITH e AS {edge_sql('part_flow')} SELECT src, dst, CAST(NULL AS VARCHAR) AS op FROM e WHERE src % 5 = 0 UNION ALL SELECT src, dst, '+' FROM e WHERE dst % 5 = 0")
+@op(f"WITH {oracles.graph_sql('order_chain')} SELECT src, dst, CAST(NULL AS VARCHAR) AS op FROM eo UNION ALL SELECT src, dst, op FROM delta")
 def set_union(spark, sf_dir):
-    e = edges_of(spark, sf_dir, "part_flow")
-    return e.where("src % 5 = 0").unionByName(e.where("dst % 5 = 0").withColumn("op", F.lit("+")), allowMissingColumns=True)
+    p = prepared(spark, sf_dir, "order_chain")
+    return p.old.edges.unionByName(p.delta, allowMissingColumns=True)
 
 
-@op(f"WITH e AS {edge_sql('part_flow')} SELECT src, dst FROM e WHERE src % 5 = 0 AND dst % 3 = 0")
+@op(f"WITH {oracles.graph_sql('order_chain')} SELECT src, dst FROM eo WHERE (src, dst) IN (SELECT (src, dst) FROM en)")
 def set_intersect(spark, sf_dir):
-    e = edges_of(spark, sf_dir, "part_flow")
-    return e.where("src % 5 = 0").intersectAll(e.where("dst % 3 = 0"))
+    p = prepared(spark, sf_dir, "order_chain")
+    return p.old.edges.intersectAll(p.new.edges)
 
 
-@op(f"WITH e AS {edge_sql('part_flow')} SELECT src, dst, '-' AS op FROM e WHERE src % 5 = 0 AND dst % 3 <> 0 UNION ALL SELECT src, dst, '+' FROM e WHERE dst % 3 = 0 AND src % 5 <> 0")
+@op(f"WITH {oracles.graph_sql('order_chain')} SELECT src, dst, op FROM delta")
 def set_except(spark, sf_dir):
     """Deletions and insertions between two snapshots."""
-    e = edges_of(spark, sf_dir, "part_flow")
-    old, new = e.where("src % 5 = 0"), e.where("dst % 3 = 0")
-    gone = old.exceptAll(new).withColumn("op", F.lit("-"))
-    return gone.unionByName(diff_snapshots(old, new).where("op = '+'"))
+    p = prepared(spark, sf_dir, "order_chain")
+    gone = p.old.edges.exceptAll(p.new.edges).withColumn("op", F.lit("-"))
+    return gone.unionByName(diff_snapshots(p.old.edges, p.new.edges).where("op = '+'"))
 
 
 # Functions
