@@ -298,9 +298,10 @@ def _nation_ranks(spark, sf_dir):
     return base_ranks(spark, sf_dir, "geo_tree").join(F.broadcast(n), "id").select(F.col("n_regionkey").alias("region"), F.col("n_nationkey").alias("nation"), "n_name", "id", "rank")
 
 
-@op(with_base("geo_tree", f"SELECT region, arg_max(n_name, r) AS highest, arg_min(n_name, r) AS lowest FROM ({_GEO}) GROUP BY region"))
+@op(with_base("geo_tree", f"SELECT region, arg_max(n_name, k) AS highest, arg_min(n_name, k) AS lowest FROM (SELECT *, CAST(floor(r * 1e9 + 0.5) AS BIGINT) * 1000 + nation AS k FROM ({_GEO})) GROUP BY region"))
 def agg_arg(spark, sf_dir):
-    return _nation_ranks(spark, sf_dir).groupBy("region").agg(F.max_by("n_name", "rank").alias("highest"), F.min_by("n_name", "rank").alias("lowest"))
+    key = rank_e9(F.col("rank")) * 1000 + F.col("nation")  # ties go by nation
+    return _nation_ranks(spark, sf_dir).withColumn("k", key).groupBy("region").agg(F.max_by("n_name", "k").alias("highest"), F.min_by("n_name", "k").alias("lowest"))
 
 
 @op(with_base("geo_tree", f"SELECT region, nation, {s6('sum(r) * 1000')} AS mass, CAST(grouping(region) * 2 + grouping(nation) AS BIGINT) AS level FROM ({_GEO}) GROUP BY ROLLUP (region, nation)"))
