@@ -188,9 +188,11 @@ def band_pairs(reps: DataFrame, parts: int) -> DataFrame:
             key, then = got.reshape(-1) >> U(16), np.roll(got, -1, axis=1).reshape(-1) >> U(32)
             doc = np.repeat(docs, BANDS)
             part = np.searchsorted(cut1, key, side="left")
-            for j in np.flatnonzero(np.isin(key, cut1)):
-                hi = np.searchsorted(cut1, key[j], side="right")
-                part[j] += np.searchsorted(cut2[part[j] : hi], then[j], side="left")
+            hit = np.flatnonzero(np.isin(key, cut1))
+            for value in np.unique(key[hit]):
+                mine = hit[key[hit] == value]
+                low, high = np.searchsorted(cut1, value, side="left"), np.searchsorted(cut1, value, side="right")
+                part[mine] = low + np.searchsorted(cut2[low:high], then[mine], side="left")
             order = np.argsort(part, kind="stable")
             cuts = np.searchsorted(part[order], np.arange(parts + 1))
             rows = [(p, packed((key[i], 6), (then[i], 4), (doc[i], 8))) for p in range(parts) if len(i := order[cuts[p] : cuts[p + 1]])]
