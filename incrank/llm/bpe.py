@@ -75,6 +75,14 @@ class PieceEncoder:
         got = self.tokenizer.encode_batch_fast(pieces, add_special_tokens=False)
         return {p: struct.pack(f"<{len(g.ids)}I", *g.ids) for p, g in zip(pieces, got, strict=True)}
 
+    def keep(self, new: dict[str, bytes], gaps: int, pieces: int) -> None:
+        """Remember what was learnt while there is room; start anew when a fifth of what comes is new."""
+        if len(self.seen) < self.limit[0] and self.chars < self.limit[1]:
+            self.seen |= new
+            self.chars += sum(map(len, new))
+        elif 5 * gaps > pieces:
+            self.seen, self.chars = {}, 0
+
     def encode_pieces(self, texts: list[list[str]]) -> list[bytes]:
         """Ids of split texts. What the texts of a block have new is learnt together."""
         known, found, gaps = self.seen.get, [], []
@@ -88,15 +96,10 @@ class PieceEncoder:
             except ValueError:
                 found.append(ids)
         if gaps:
-            unknown = {g[2] for g in gaps}
-            new = self.learn(list(unknown))
+            new = self.learn(list({g[2] for g in gaps}))
             for ids, k, piece in gaps:
                 ids[k] = new[piece]
-            if len(self.seen) < self.limit[0] and self.chars < self.limit[1]:
-                self.seen |= new
-                self.chars += sum(map(len, unknown))
-            elif 5 * len(gaps) > sum(map(len, texts)):
-                self.seen, self.chars = {}, 0
+            self.keep(new, len(gaps), sum(map(len, texts)))
         return list(map(b"".join, found))
 
     def encode_texts(self, texts: list[str]) -> list[bytes]:

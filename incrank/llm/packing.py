@@ -17,9 +17,11 @@ import re
 import zlib
 from dataclasses import dataclass, field
 from functools import lru_cache
+from itertools import filterfalse, pairwise
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -27,13 +29,14 @@ from .bpe import PieceEncoder
 from .common import STEP_BYTES, steps, stored, texts_of
 
 CAPACITY = 2048
-#: Texts with any of these take the library's whole path: beyond Latin, information separators, special tokens' spelling.
-_UNUSUAL = re.compile("[\x1c-\x1fɐ-\U0010ffff]|<\\|")
+#: Texts with any of these take the library's whole path: beyond Latin, white space and separators beyond ASCII's six, special tokens' spelling.
+_UNUSUAL = re.compile("[\x1c-\x1f\x85\xa0\u0250-\U0010ffff]|<\\|")
+_SEPARATORS = "\x1c\x1d\x1e\x1f"
 
 
 def unusual(text: str) -> bool:
     if text.isascii():
-        return "<|" in text or any(c in text for c in "\x1c\x1d\x1e\x1f")
+        return "<|" in text or any(c in text for c in _SEPARATORS)
     return _UNUSUAL.search(text) is not None
 
 
@@ -59,34 +62,49 @@ class WordEncoder(PieceEncoder):
         self.signs = {c: np.array(tokenizer.encode(c, add_special_tokens=False).ids, "<u4").tobytes() for c in _SIGNS}
 
     def encode_texts(self, texts: list[str]) -> list[bytes]:
-        out = self.encode_pieces([[] if unusual(t) else t.split() for t in texts])
-        for k, text in enumerate(texts):
-            if not out[k] and text:
-                out[k] = np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        return self.encode_column(pa.array(texts, pa.string()))
+
+    def encode_column(self, column: pa.Array) -> list[bytes]:
+        """Ids of each text. Arrow splits them and tells their different pieces; only those are looked up."""
+        texts = column.to_pylist()
+        odd = list(map(unusual, texts))
+        lists = pc.ascii_split_whitespace(pc.if_else(pa.array(odd, pa.bool_()), pa.scalar("", column.type), column))
+        encoded = lists.flatten().dictionary_encode()
+        joined = pa.array(self.lookup(encoded.dictionary.to_pylist(), len(encoded)), pa.binary()).take(encoded.indices)
+        ends = np.frombuffer(joined.buffers()[1], np.int32, len(joined) + 1, joined.offset * 4)
+        cuts = ends[np.asarray(lists.offsets) - lists.offsets[0].as_py()].tolist()
+        data = joined.buffers()[2].to_pybytes() if joined.buffers()[2] is not None else b""
+        out = [data[a:b] for a, b in pairwise(cuts)]
+        for k in np.flatnonzero(odd).tolist():
+            out[k] = np.array(self.tokenizer.encode(texts[k], add_special_tokens=False).ids, "<u4").tobytes()
         return out
 
+    def lookup(self, pieces: list[str], times: int) -> list[bytes]:
+        """Ids of different pieces, which come so many times in all."""
+        ids = list(map(self.seen.get, pieces))
+        gaps = [k for k, x in enumerate(ids) if x is None]
+        if gaps:
+            new = self.learn([pieces[k] for k in gaps])
+            for k in gaps:
+                ids[k] = new[pieces[k]]
+            self.keep(new, len(gaps), times)
+        return ids
+
     def learn(self, pieces: list[str]) -> dict[str, bytes]:
-        words, signed, rest = {}, [], []
-        for piece in pieces:
-            if piece.isalpha():
-                words[piece] = None
-            elif piece[-1] in _SIGNS and (word := piece[:-1]).isalpha():
-                signed.append(piece)
-                if word not in self.seen:
-                    words[word] = None
-            else:
-                rest.append(piece)
-        got = super().learn(rest) if rest else {}
+        seen, signs = self.seen, self.signs
+        words = dict.fromkeys(filter(str.isalpha, pieces))
+        others = [p for p in filterfalse(str.isalpha, pieces) if p]
+        signed = [(p, p[:-1]) for p in others if p[-1] in _SIGNS and p[:-1].isalpha()]
+        got = super().learn([p for p in others if not (p[-1] in _SIGNS and p[:-1].isalpha())]) if len(signed) < len(others) else {}
+        words |= dict.fromkeys([w for _, w in signed if w not in seen])
         if words:
-            todo = list(words)
-            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(todo)], add_special_tokens=False)[0].ids, "<u4")
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(words)], add_special_tokens=False)[0].ids, "<u4")
             cuts = [0, *(4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()]
             block = ids.tobytes()
-            for word, a, b in zip(todo, cuts[:-1], cuts[1:], strict=True):
-                got[word] = block[a:b]
-        for piece in signed:
-            word = piece[:-1]
-            got[piece] = (got.get(word) or self.seen[word]) + self.signs[piece[-1]]
+            got |= zip(words, [block[a:b] for a, b in pairwise(cuts)], strict=True)
+        got[""] = b""  # white space at a text's ends
+        for piece, word in signed:
+            got[piece] = (got.get(word) or seen[word]) + signs[piece[-1]]
         return got
 
 
@@ -107,7 +125,7 @@ def token_pieces(docs: DataFrame, tokenizer_path: str, capacity: int = CAPACITY,
         enc, end = word_encoder(tokenizer_path), np.array([end_id], "<u4").tobytes()
         for batch in steps(batches, step=4 * STEP_BYTES):
             rows = []
-            for key, ids in zip(batch.column(0).to_pylist(), enc.encode_texts(batch.column(1).to_pylist()), strict=True):
+            for key, ids in zip(batch.column(0).to_pylist(), enc.encode_column(batch.column(1)), strict=True):
                 ids += end
                 for k, at in enumerate(range(0, len(ids), 4 * capacity)):
                     part = ids[at : at + 4 * capacity]
@@ -308,15 +326,15 @@ def best_fit_packing(docs: DataFrame, tokenizer_path: str, capacity: int = CAPAC
     cells = max(1, min(max_cells, -(-total // rows_per_cell)))
     pieces = pieces.withColumn("cell", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(cells)).cast("int"))
     # Ranks within a length without gathering a length in one task: counts by (length, cell), at most capacity x cells of them.
-    counted = sorted((r["length"], r["cell"], r["n"]) for r in pieces.groupBy("length", "cell").agg(F.count(F.lit(1)).alias("n")).collect())
-    histogram: dict[int, int] = {}
-    before = []
-    for length, cell, n in counted:
-        before.append((length, cell, histogram.get(length, 0)))
-        histogram[length] = histogram.get(length, 0) + n
+    counted = pieces.groupBy("length", "cell").agg(F.count(F.lit(1)).alias("n")).toArrow().sort_by([("length", "ascending"), ("cell", "ascending")])
+    lengths, n = (counted.column(c).to_numpy() for c in ("length", "n"))
+    starts = np.flatnonzero(np.append(True, lengths[1:] != lengths[:-1])) if len(lengths) else np.zeros(0, np.int64)
+    running = np.cumsum(n) - n
+    before = running - np.repeat(running[starts], np.diff(np.append(starts, len(n))))
+    histogram = {int(k): int(x) for k, x in zip(lengths[starts], np.add.reduceat(n, starts), strict=True)} if len(n) else {}
     plan = pack_histogram(histogram, capacity)
     rows = [(length, [p[0] for p in ps], [p[2] for p in ps], [p[3] for p in ps]) for length, ps in plan.places.items()]
-    first = spark.createDataFrame(before, "length bigint, cell int, first bigint")
+    first = spark.createDataFrame(pa.table({"length": counted.column("length"), "cell": counted.column("cell"), "first": pa.array(before)}))
     places = spark.createDataFrame(rows, "length bigint, ranks array<bigint>, firsts array<bigint>, offsets array<bigint>")
     rank = F.row_number().over(Window.partitionBy("length", "cell").orderBy("doc_id", "piece")) - 1
     ranked = pieces.join(F.broadcast(first), ["length", "cell"]).withColumn("rank", F.col("first") + rank).join(F.broadcast(places), "length")
