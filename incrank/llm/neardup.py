@@ -3,12 +3,12 @@
 A document is the multiset of its runs of five words, weighted by TF-IDF. Improved
 consistent weighted sampling draws from it so that two documents draw alike with
 the probability of their weighted Jaccard similarity. Bands of draws nominate
-pairs, the draws they have in common estimate their similarity, and the texts
-themselves decide. Documents with equal multisets are one from the start, so
+pairs, the draws they have in common estimate their similarity, and the exact
+weights decide. Documents with equal multisets are one from the start, so
 large groups of copies cost no pairs.
 
-Document frequencies are counted over all documents, by hash bucket: a fixed number of buckets,
-whatever the corpus.
+Document frequencies are counted over all documents. Draws take them by hash bucket, of which there is a fixed
+number; what decides are the frequencies of the runs themselves, by 64-bit hash, whatever the corpus.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ..session import release_shuffles
 from .common import _POWERS, column_bytes, mix64, partitions_for, steps, stored, texts_of, word_hashes
 from .components import connected_components
-from .suffix import multikey_order, packed, unpacked
+from .suffix import NO_ID, home, joined, multikey_order, packed, unpacked
 
 WORDS, SIMILARITY = 5, 0.8
 #: Draws of a band, bands: at similarity 0.8 a pair shares no band once in 200,000 pairs.
@@ -34,6 +34,11 @@ DRAWS = ROWS * BANDS
 LEAST_ALIKE = 9
 DF_BUCKETS, DF_PARTS = 1 << 20, 16
 STEP = 1 << 18
+#: Records of runs that a task holds before it sends them, records of a bucket aimed at, bytes of text for a record.
+FLUSH, BUCKET_RECORDS, RUN_BYTES = 1 << 20, 2_000_000, 6
+RUN, TOTAL = 0, 1
+#: Slack of bounds on sums of weights, far above their rounding.
+SLACK = 1e-9
 U = np.uint64
 
 
@@ -252,20 +257,125 @@ def similarities(offsets: np.ndarray, data: np.ndarray, weights: np.ndarray, pai
     return out
 
 
-def verified(pairs: DataFrame, texts: DataFrame, weights: np.ndarray, least: float) -> DataFrame:
-    """Of pairs (a, b), those whose texts are at least so similar."""
+def run_counts(texts: DataFrame, documents: int, least: float) -> DataFrame:
+    """doc_id, weight, runs of each document that can be so similar to another one.
+
+    ``runs`` has its runs that other documents have too: hash, document frequency and times, in the order of hashes. Runs meet
+    in the bucket of their hash, where they are counted, and go back to their documents. ``weight`` is that of all
+    the document's runs. A document of which less than the share ``least`` is in other documents is like none.
+    """
+    spark = texts.sparkSession
+    size = texts.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    parts = max(partitions_for(spark), size // (RUN_BYTES * BUCKET_RECORDS) + 1)
+    bounds = (np.arange(1, parts, dtype=np.float64) / parts * 2.0**64).astype(U)
+
+    def row(kind, part, block):
+        return pa.RecordBatch.from_arrays([pa.array([kind], pa.int32()), pa.array([part], pa.int32()), pa.array([block], pa.binary())], ["kind", "part", "block"])
+
+    def by_part(part, order):
+        cuts = np.searchsorted(part[order], np.arange(parts + 1))
+        return ((p, order[cuts[p] : cuts[p + 1]]) for p in range(parts) if cuts[p] < cuts[p + 1])
+
+    def send(batches):
+        held, totals, n = [], [], 0
+
+        def flush():
+            got, docs, times = joined(held)
+            order = np.argsort(got)
+            for p, at in by_part(np.searchsorted(bounds, got, side="right"), order):
+                yield row(RUN, p, packed((got[at], 8), (docs[at], 8), (times[at], 5)))
+            docs, total = joined(totals)
+            part = home(docs, parts)
+            for p, at in by_part(part, np.argsort(part, kind="stable")):
+                yield row(TOTAL, p, packed((docs[at], 8), (total[at], 5)))
+
+        for batch in steps(batches, "text", 4 * STEP):
+            ids = batch.column(0).fill_null(NO_ID).to_numpy(zero_copy_only=False)
+            owner, got, times = shingles(*column_bytes(batch.column(1)))
+            held.append([got, ids[owner], times])
+            totals.append([ids, np.bincount(owner, times, len(ids)).astype(np.int64)])
+            n += len(got)
+            if n >= FLUSH:
+                yield from flush()
+                held, totals, n = [], [], 0
+        if held:
+            yield from flush()
+
+    def count(batches):
+        held = []
+        for batch in batches:
+            for kind, part, block in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if kind == RUN:
+                    held.append(unpacked(block, 8, 8, 5)[0])
+                else:
+                    yield row(kind, part, block)
+        if not held:
+            return
+        got, docs, times = joined(held)
+        held.clear()
+        order = np.argsort(got)
+        got, docs, times = got[order], docs[order].view(np.int64), times[order]
+        starts = np.flatnonzero(np.append(True, got[1:] != got[:-1]))
+        having = np.diff(np.append(starts, len(got)))
+        having = np.repeat(having, having)
+        some = np.flatnonzero((having > 1) & (docs != NO_ID))
+        got, docs, times, having = got[some], docs[some], times[some], having[some]
+        part = home(docs, parts)
+        for p, at in by_part(part, np.argsort(part, kind="stable")):
+            yield row(RUN, p, packed((docs[at], 8), (got[at], 8), (having[at], 5), (times[at], 5)))
+
+    def gather(batches):
+        runs, totals = [], []
+        for batch in batches:
+            for kind, _, block in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if kind == RUN:
+                    runs.append(unpacked(block, 8, 8, 5, 5)[0])
+                else:
+                    totals.append(unpacked(block, 8, 5)[0])
+        if not runs:
+            return
+        docs, got, having, times = joined(runs)
+        runs.clear()
+        order = multikey_order(docs, got)
+        docs, got, having, times = docs[order], got[order], having[order].astype(np.int64), times[order].astype(np.int64)
+        once = np.append(True, (docs[1:] != docs[:-1]) | (got[1:] != got[:-1]))
+        docs, got, having, times = docs[once], got[once], having[once], times[once]
+        starts = np.flatnonzero(np.append(True, docs[1:] != docs[:-1]))
+        ends = np.append(starts[1:], len(docs))
+        known, total = joined(totals)
+        order = multikey_order(known, total)
+        total = total[order][np.searchsorted(known[order], docs[starts])].astype(np.int64)
+        shared = np.add.reduceat(times * np.log1p(documents / having), starts)
+        weight = shared + np.maximum(0, total - np.add.reduceat(times, starts)) * np.log1p(documents)
+        some = np.flatnonzero(shared >= least * weight * (1 - SLACK))
+        for k in range(0, len(some), 512):
+            at = some[k : k + 512]
+            blocks = [packed((got[a:b], 8), (having[a:b], 5), (times[a:b], 5)) for a, b in zip(starts[at].tolist(), ends[at].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(docs[starts[at]].view(np.int64)), pa.array(weight[at]), pa.array(blocks, pa.binary())], ["doc_id", "weight", "runs"])
+
+    schema = "kind int, part int, block binary"
+    sent = texts.mapInArrow(send, schema).repartitionById(parts, F.col("part"))
+    return sent.mapInArrow(count, schema).repartitionById(parts, F.col("part")).mapInArrow(gather, "doc_id bigint, weight double, runs binary")
+
+
+def verified(pairs: DataFrame, counts: DataFrame, documents: int, least: float) -> DataFrame:
+    """Of pairs (a, b), those that are at least so similar by the exact weights. What two documents share is in the counts of both."""
 
     def kernel(batches):
-        for batch in steps(batches, "text_a", STEP):
-            n = batch.num_rows
-            both = pa.concat_arrays([batch.column(2), batch.column(3)])
-            sim = similarities(*column_bytes(both), weights, [(k, n + k) for k in range(n)])
-            keep = pa.array([s >= least - 1e-9 for s in sim])
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep), pa.array(sim).filter(keep)], ["a", "b", "similarity"])
+        for batch in batches:
+            sim = []
+            for weight_a, weight_b, runs_a, runs_b in zip(*(c.to_pylist() for c in batch.columns[2:]), strict=True):
+                (x, having, n), (y, _, m) = unpacked(runs_a, 8, 5, 5)[0], unpacked(runs_b, 8, 5, 5)[0]
+                at = np.minimum(np.searchsorted(y, x), len(y) - 1)
+                same = np.flatnonzero(y[at] == x)
+                both = (np.minimum(n[same], m[at[same]]) * np.log1p(documents / having[same])).sum()
+                sim.append(float(both / (weight_a + weight_b - both)))
+            keep = pa.array([s >= least - 1e-9 for s in sim], pa.bool_())
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(keep), batch.column(1).filter(keep), pa.array(sim, pa.float64()).filter(keep)], ["a", "b", "similarity"])
 
-    first = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
-    second = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
-    return pairs.select("a", "b").join(first, "a").join(second, "b").select("a", "b", "text_a", "text_b").mapInArrow(kernel, "a bigint, b bigint, similarity double")
+    of = lambda c: counts.select(F.col("doc_id").alias(c), F.col("weight").alias(f"weight_{c}"), F.col("runs").alias(f"runs_{c}"))
+    both = pairs.select("a", "b").join(of("a"), "a").join(of("b"), "b")
+    return both.select("a", "b", "weight_a", "weight_b", "runs_a", "runs_b").mapInArrow(kernel, "a bigint, b bigint, similarity double")
 
 
 def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
@@ -278,7 +388,8 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """
     spark = docs.sparkSession
     texts = texts_of(docs)
-    weights = idf_weights(*document_frequencies(texts))
+    frequencies, documents = document_frequencies(texts)
+    weights = idf_weights(frequencies, documents)
     signed = stored(texts.where("doc_id IS NOT NULL").mapInArrow(sign(weights), SIGNED), "signatures")
     release_shuffles(spark)
     members = signed.select("doc_id", "print_a", "print_b").join(signed.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep_id")), ["print_a", "print_b"]).select("doc_id", "rep_id")
@@ -289,17 +400,17 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     alike = F.aggregate(F.zip_with("draws_a", "draws_b", lambda x, y: (x == y).cast("int")), F.lit(0), lambda x, y: x + y)
     near = pairs.join(draws.select(F.col("doc_id").alias("a"), F.col("draws").alias("draws_a")), "a").join(draws.select(F.col("doc_id").alias("b"), F.col("draws").alias("draws_b")), "b")
     near = stored(near.select("a", "b", alike.alias("alike")).where(F.col("alike") >= LEAST_ALIKE), "near-pairs")
-    ids = near.select(F.col("a").alias("doc_id")).unionByName(near.select(F.col("b").alias("doc_id"))).distinct().hint("shuffle_hash")
-    involved = stored(texts.join(ids, "doc_id", "left_semi"), "near-texts")
+    release_shuffles(spark)
+    counts = stored(run_counts(texts, documents, least).join(reps.select("doc_id").hint("shuffle_hash"), "doc_id", "left_semi"), "run-counts")
     release_shuffles(spark)
 
     # Each document with the earlier one most like it first; then all pairs that are still apart.
     parents = near.groupBy("b").agg(F.max(F.struct("alike", (-F.col("a")).alias("a"))).alias("best")).select((-F.col("best.a")).alias("a"), "b")
-    links = stored(verified(parents, involved, weights, least).select("a", "b"), "links")
+    links = stored(verified(parents, counts, documents, least).select("a", "b"), "links")
     label = connected_components(links)
     of = lambda c: label.select(F.col("node").alias(c), F.col("component").alias(f"of_{c}"))
     apart = near.join(of("a"), "a", "left").join(of("b"), "b", "left").where(F.coalesce("of_a", "a") != F.coalesce("of_b", "b")).select("a", "b").join(parents, ["a", "b"], "left_anti")
-    more = stored(verified(apart, involved, weights, least).select("a", "b"), "more-links")
+    more = stored(verified(apart, counts, documents, least).select("a", "b"), "more-links")
     if not more.isEmpty():
         label = connected_components(links.unionByName(more))
     classes = members.join(label.withColumnRenamed("node", "rep_id"), "rep_id", "left").select("doc_id", F.coalesce("component", "rep_id").alias("class_id"), "rep_id")

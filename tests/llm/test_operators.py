@@ -383,6 +383,18 @@ def test_near_duplicates_are_those_of_all_pairs(spark):
     assert len(set(got.values())) < len(rows)
 
 
+def test_near_duplicates_by_frequencies_of_runs(spark, monkeypatch):
+    """Buckets as full as those of a large corpus must not decide: pages that share a template only are no copies."""
+    template = " ".join(f"t{k}" for k in range(200))
+    rows = [(g, f"{template} " + " ".join(f"own{g}x{k}" for k in range(8))) for g in range(60)]
+    docs = table(spark, rows)
+    frequencies, n = neardup.document_frequencies(texts_of(docs))
+    want = brute_classes(rows, neardup.idf_weights(frequencies, n))
+    monkeypatch.setattr(neardup, "document_frequencies", lambda texts: (np.full_like(frequencies, n), n))
+    got = {x["doc_id"]: x["class_id"] for x in neardup.near_duplicates(docs).collect()}
+    assert got == want and len(set(got.values())) == 60
+
+
 def test_draws_collide_with_the_similarity():
     r = np.random.default_rng(6)
     hits = []
