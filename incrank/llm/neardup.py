@@ -4,8 +4,9 @@ A document is the multiset of its runs of five words, weighted by TF-IDF. Improv
 consistent weighted sampling draws from it so that two documents draw alike with
 the probability of their weighted Jaccard similarity. Bands of draws nominate
 pairs, the draws they have in common estimate their similarity, and the exact
-weights decide. Documents with equal multisets are one from the start, so
-large groups of copies cost no pairs.
+weights decide. What bands miss, within large groups above all, an exact join on
+rare runs finds among documents that are still apart. Documents with equal
+multisets are one from the start, so large groups of copies cost no pairs.
 
 Document frequencies are counted over all documents. Draws take them by hash bucket, of which there is a fixed
 number; what decides are the frequencies of the runs themselves, by 64-bit hash, whatever the corpus.
@@ -378,6 +379,83 @@ def verified(pairs: DataFrame, counts: DataFrame, documents: int, least: float)
     return both.select("a", "b", "weight_a", "weight_b", "runs_a", "runs_b").mapInArrow(kernel, "a bigint, b bigint, similarity double")
 
 
+def prefix_pairs(counts: DataFrame, documents: int, least: float, parts: int) -> DataFrame:
+    """All pairs (a, b) of different components that can be so similar, by their rarest common run.
+
+    With runs in one order, rare ones first, a pair shares at most what either has from its first common run on. For weights
+    v and w it must share least / (1 + least) * (v + w), so a run is of use to a document only as long as the rest from it on
+    is the share ``least``, and only for partners whose weight the rest allows. Columns: doc_id, weight, runs, component.
+    """
+    factor = (1 + least) / least
+
+    def send(batches):
+        for batch in batches:
+            held = []
+            for doc, weight, block, component in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                got, having, times = unpacked(block, 8, 5, 5)[0]
+                order = np.lexsort((got, having))
+                rest = np.cumsum((times * np.log1p(documents / having))[order][::-1])[::-1]
+                n = int((rest >= least * weight * (1 - SLACK)).sum())
+                same = np.ones(n)
+                held.append([got[order][:n], (same * weight).view(U), rest[:n].view(U), np.full(n, doc), np.full(n, component)])
+            if not held:
+                continue
+            columns = joined(held)
+            part = (columns[0] % U(parts)).astype(np.int64)
+            order = np.argsort(part, kind="stable")
+            cuts = np.searchsorted(part[order], np.arange(parts + 1))
+            rows = [(p, packed(*((c[order[cuts[p] : cuts[p + 1]]], 8) for c in columns))) for p in range(parts) if cuts[p] < cuts[p + 1]]
+            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], ["part", "block"])
+
+    def pair(batches):
+        held = [unpacked(b, 8, 8, 8, 8, 8)[0] for batch in batches for b in batch.column(1).to_pylist()]
+        if not held:
+            return
+        got, weight, rest, doc, component = joined(held)
+        held.clear()
+        weight, rest, doc, component = weight.view(np.float64), rest.view(np.float64), doc.view(np.int64), component.view(np.int64)
+        order = np.lexsort((component, got))
+        got, weight, rest, doc, component = (c[order] for c in (got, weight, rest, doc, component))
+        run = np.cumsum(np.append(True, got[1:] != got[:-1])) - 1
+        # Of each run's components the largest needs no pairs of its own: the others' members look for theirs.
+        new = np.flatnonzero(np.append(True, (run[1:] != run[:-1]) | (component[1:] != component[:-1])))
+        size = np.diff(np.append(new, len(run)))
+        by_size = np.lexsort((-size, run[new]))
+        largest = by_size[np.append(True, run[new][by_size][1:] != run[new][by_size][:-1])]
+        seeks = np.ones(len(new), bool)
+        seeks[largest] = False
+        seeks = np.repeat(seeks, size)
+        several = np.zeros(run[-1] + 1, bool)
+        several[run[seeks]] = True
+        use = several[run]
+        run, weight, rest, doc, component, seeks = (c[use] for c in (run, weight, rest, doc, component, seeks))
+        if not len(run):
+            return
+        order = np.lexsort((weight, run))
+        run, weight, rest, doc, component, seeks = (c[order] for c in (run, weight, rest, doc, component, seeks))
+        limit = (rest * factor - weight) * (1 + SLACK) + SLACK
+        values = np.unique(weight)
+        place = run * (len(values) + 1) + np.searchsorted(values, weight)
+        me = np.flatnonzero(seeks)
+        low = np.searchsorted(place, run[me] * (len(values) + 1) + np.searchsorted(values, least * weight[me] * (1 - SLACK)))
+        high = np.searchsorted(place, run[me] * (len(values) + 1) + np.searchsorted(values, limit[me], side="right"))
+        many = np.maximum(0, high - low)
+        ends = np.cumsum(many)
+        at = 0
+        while at < len(me):
+            to = max(at + 1, int(np.searchsorted(ends, ends[at] - many[at] + (1 << 21), side="right")))
+            n = many[at:to]
+            i = np.repeat(me[at:to], n)
+            j = np.arange(len(i)) - np.repeat(np.cumsum(n) - n, n) + np.repeat(low[at:to], n)
+            keep = (component[i] != component[j]) & (limit[j] >= weight[i])
+            both = np.unique(np.stack([np.minimum(doc[i], doc[j])[keep], np.maximum(doc[i], doc[j])[keep]]), axis=1) if keep.any() else np.zeros((2, 0), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1])], ["a", "b"])
+            at = to
+
+    sent = counts.select("doc_id", "weight", "runs", "component").mapInArrow(send, "part int, block binary").repartitionById(parts, F.col("part"))
+    return sent.mapInArrow(pair, "a bigint, b bigint").distinct()
+
+
 def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """One row per document: doc_id, class_id (the class's smallest doc_id), rep_id (of those with the same runs of words), kept.
 
@@ -404,12 +482,12 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     counts = stored(run_counts(texts, documents, least).join(reps.select("doc_id").hint("shuffle_hash"), "doc_id", "left_semi"), "run-counts")
     release_shuffles(spark)
 
-    # Each document with the earlier one most like it first; then all pairs that are still apart.
+    # Each document with the earlier one most like it first; then all pairs that can be alike and are still apart.
     parents = near.groupBy("b").agg(F.max(F.struct("alike", (-F.col("a")).alias("a"))).alias("best")).select((-F.col("best.a")).alias("a"), "b")
     links = stored(verified(parents, counts, documents, least).select("a", "b"), "links")
     label = connected_components(links)
-    of = lambda c: label.select(F.col("node").alias(c), F.col("component").alias(f"of_{c}"))
-    apart = near.join(of("a"), "a", "left").join(of("b"), "b", "left").where(F.coalesce("of_a", "a") != F.coalesce("of_b", "b")).select("a", "b").join(parents, ["a", "b"], "left_anti")
+    known = counts.join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+    apart = stored(prefix_pairs(known, documents, least, partitions_for(spark)), "pairs-apart")
     more = stored(verified(apart, counts, documents, least).select("a", "b"), "more-links")
     if not more.isEmpty():
         label = connected_components(links.unionByName(more))

@@ -395,6 +395,15 @@ def test_near_duplicates_by_frequencies_of_runs(spark, monkeypatch):
     assert got == want and len(set(got.values())) == 60
 
 
+def test_near_duplicates_within_a_large_template(spark):
+    """Pairs of pages among two thousand that have one template: all share bands, background similarity is below the bound."""
+    template = " ".join(f"t{k}" for k in range(400))
+    page = lambda g, other: f"{template} " + " ".join(f"own{g}x{k}" if k < 4 else f"{other}{g}x{k}" for k in range(7))
+    rows = [(g, page(g, "left")) for g in range(1000)] + [(1000 + g, page(g, "right")) for g in range(1000)]
+    got = {x["doc_id"]: x["class_id"] for x in neardup.near_duplicates(table(spark, rows)).collect()}
+    assert got == {k: k % 1000 for k in range(2000)}
+
+
 def test_draws_collide_with_the_similarity():
     r = np.random.default_rng(6)
     hits = []
