@@ -231,11 +231,12 @@ def join_asof(spark, sf_dir):
     both = e.select("ts", "event_id", F.lit(None).cast("bigint").alias("version")).unionByName(e.where("event_type = 'signup'").select("ts", F.lit(None).cast("bigint").alias("event_id"), F.col("event_id").alias("version")))
     from ..session import stored
 
-    parts = stored(both.repartitionByRange(int(spark.conf.get("spark.sql.shuffle.partitions")), "ts").withColumn("part", F.spark_partition_id()), "asof")
+    n = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    parts = stored(both.repartitionByRange(n, "ts").withColumn("part", F.spark_partition_id()), "asof")
     order = [F.col("ts"), F.col("version").asc_nulls_last()]
     lasts = {r["part"]: r["v"] for r in parts.where("version IS NOT NULL").groupBy("part").agg(F.max_by("version", F.struct("ts", "version")).alias("v")).collect()}
     carried, run = [], None
-    for p in range(max([0, *lasts]) + 64):
+    for p in range(max([n - 1, *lasts]) + 1):
         if run is not None:
             carried.append((p, run))
         run = lasts.get(p, run)

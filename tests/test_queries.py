@@ -61,3 +61,19 @@ def test_approximate_aggregates(spark):
     exact = cust_supp(spark, SF).groupBy("src").agg(F.count_distinct("dst").alias("exact"))
     far = agg_approx(spark, SF).join(exact, "src").where("abs(targets - exact) > greatest(2, 0.2 * exact)")
     assert far.count() == 0
+
+
+def test_asof_versions_at_the_start_only(spark, tmp_path):
+    """The last version goes on to every later partition, however many there are."""
+    from incrank.operators.relational import join_asof
+
+    kinds = pd.Series(["signup"] * 10 + ["view"] * 3990)
+    at = pd.Timestamp("2024-01-01") + pd.to_timedelta(range(4000), unit="min")
+    spark.createDataFrame(pd.DataFrame({"event_id": range(4000), "ts": at, "event_type": kinds})).write.parquet(f"{tmp_path}/events.parquet")
+    was = spark.conf.get("spark.sql.shuffle.partitions")
+    spark.conf.set("spark.sql.shuffle.partitions", "200")
+    try:
+        got = {r["event_id"]: r["version"] for r in join_asof(spark, str(tmp_path)).collect()}
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", was)
+    assert got == {k: min(k, 9) for k in range(4000)}
