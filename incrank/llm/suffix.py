@@ -1,7 +1,7 @@
 """Removal of passages that an earlier document also has, by a distributed suffix sort.
 
 A byte goes when a string of ``length`` bytes covers it that also starts in a
-document with a smaller doc_id. Not all suffixes need sorting: every string of
+document with a smaller doc_id (rows that share one or have none: in an earlier row). Not all suffixes need sorting: every string of
 that length has a least hashed token (a window of ``token`` bytes), and neighbouring
 strings mostly share it. So one suffix is kept for each run of strings with one
 least token: it is known by that leading token, by a fingerprint of the whole
@@ -28,7 +28,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..session import release_shuffles
@@ -39,7 +39,8 @@ LENGTH, TOKEN = 50, 24
 FLUSH, LONGEST_RUN = 1 << 20, LENGTH + 1
 #: Records of a bucket aimed at, documents of the sample for splitters, records of it that the driver sees.
 BUCKET_RECORDS, SAMPLE_DOCS, SAMPLE_RECORDS = 2_000_000, 2_000, 200_000
-#: Rows without doc_id count as later than all others.
+#: Columns of rows' own keys and written numbers.
+KEY, NUMBER = "suffix_row_key", "suffix_row_number"
 NO_ID = (1 << 63) - 1
 REMOVED, EDGE, HOT = 0, 1, 2
 
@@ -465,10 +466,30 @@ def splitters_of(texts: DataFrame, total: int, partitions: int) -> tuple[np.ndar
     return cold[np.arange(1, parts) * len(cold) // parts], hot, parts
 
 
-def verdicts(docs: DataFrame) -> DataFrame:
-    """doc_id, blocks: the runs of strings to remove, for documents that have any."""
-    spark = docs.sparkSession
-    texts = texts_of(docs)
+def keyed(docs: DataFrame) -> DataFrame:
+    """``docs`` with a key of its own for every row, in the order of doc_id; rows that share one, or have none and come last, by a written number.
+
+    Where all have a doc_id of their own, that is the key.
+    """
+    number = F.col("doc_id").cast("long")
+    ids = docs.select(number.alias("doc_id"))
+    if ids.groupBy("doc_id").count().where("doc_id IS NULL OR count > 1").isEmpty():
+        return docs.withColumn(KEY, number)
+    parts = partitions_for(docs.sparkSession)
+    rows = stored(docs.withColumn(NUMBER, F.monotonically_increasing_id()), "suffix-rows")
+    order = [F.col("doc_id").asc_nulls_last(), F.col(NUMBER).asc()]
+    dealt = stored(rows.select(number.alias("doc_id"), NUMBER).repartitionByRange(parts, *order).withColumn("part", F.spark_partition_id()), "suffix-order")
+    counts = sorted((r["part"], r["count"]) for r in dealt.groupBy("part").count().collect())
+    before = [(p, sum(n for _, n in counts[:k])) for k, (p, _) in enumerate(counts)]
+    place = F.row_number().over(Window.partitionBy("part").orderBy(*order))
+    keys = dealt.withColumn("place", place).join(F.broadcast(docs.sparkSession.createDataFrame(before, "part int, before bigint")), "part")
+    return rows.join(stored(keys.select(NUMBER, (F.col("before") + F.col("place")).alias(KEY)), "suffix-keys"), NUMBER).drop(NUMBER)
+
+
+def verdicts(rows: DataFrame) -> DataFrame:
+    """doc_id, blocks: the runs of strings to remove, for rows that have any; doc_id is the key that :func:`keyed` gave the row."""
+    spark = rows.sparkSession
+    texts = texts_of(rows, KEY)
     total = texts.count()
     splitters, hot, parts = splitters_of(texts, total, partitions_for(spark))
     sent = texts.mapInArrow(send_runs(splitters, hot, parts), SENT).repartitionById(parts, F.col("part"))
@@ -476,7 +497,7 @@ def verdicts(docs: DataFrame) -> DataFrame:
     first = stored(back.mapInArrow(by_document, VERDICTS), "suffix-runs")
     release_shuffles(spark)
     pending = first.where("pending").select("doc_id", "verdicts").hint("shuffle_hash")
-    edges = texts.withColumn("doc_id", F.coalesce("doc_id", F.lit(NO_ID))).join(pending, "doc_id").select("doc_id", "text", "verdicts")
+    edges = texts.join(pending, "doc_id").select("doc_id", "text", "verdicts")
     sent = edges.mapInArrow(send_edges(parts), SENT).repartitionById(parts, F.col("part"))
     back = sent.mapInArrow(judge_edges(parts), SENT).repartitionById(parts, F.col("part"))
     second = stored(back.mapInArrow(by_document, VERDICTS), "suffix-edges")
@@ -521,21 +542,17 @@ def whole_characters(data: bytes, spans: list[tuple[int, int]]) -> list[tuple[in
 
 
 def _with_verdicts(docs: DataFrame) -> DataFrame:
-    known = verdicts(docs).hint("shuffle_hash")
-    texts = texts_of(docs).withColumn("doc_id", F.coalesce("doc_id", F.lit(NO_ID)))
-    return texts.join(known, "doc_id", "left").select("doc_id", "text", "blocks")
-
-
-def _ids(column: pa.Array) -> pa.Array:
-    return pa.array([None if k == NO_ID else k for k in column.to_pylist()], pa.int64())
+    rows = keyed(docs)
+    known = verdicts(rows).withColumnRenamed("doc_id", KEY).hint("shuffle_hash")
+    texts = rows.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), KEY)
+    return texts.join(known, KEY, "left").select("doc_id", "text", "blocks")
 
 
 def remove_repeats(docs: DataFrame) -> DataFrame:
     """doc_id, text, n_removed: the texts without repeated passages. Characters that would be cut in two stay whole.
 
-    Null text counts as empty. Rows without doc_id come after all others and count as one document. Rows that share a
-    doc_id count as one document too: if their texts differ, what goes from one goes at the same places
-    from the other. Texts under 50 bytes stay. Other columns are ignored.
+    Null text counts as empty. Every row is a document of its own: rows that share a doc_id come one after the other, rows
+    without one after all others, in the order in which they are read. Texts under 50 bytes stay. Other columns are ignored.
     """
 
     def kernel(batches):
@@ -545,7 +562,7 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
                 spans = whole_characters(text, removed_spans(blocks, len(text)))
                 texts.append(without(text, spans).decode())
                 gone.append(sum(b - a for a, b in spans))
-            yield pa.RecordBatch.from_arrays([_ids(batch.column(0)), pa.array(texts, pa.string()), pa.array(gone, pa.int64())], ["doc_id", "text", "n_removed"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), pa.array(gone, pa.int64())], ["doc_id", "text", "n_removed"])
 
     return _with_verdicts(docs).mapInArrow(kernel, "doc_id bigint, text string, n_removed bigint")
 
@@ -560,7 +577,7 @@ def repeat_digests(docs: DataFrame) -> DataFrame:
                 spans = removed_spans(blocks, len(text))
                 rows.append((len(text), sum(b - a for a, b in spans), len(spans), hashlib.sha256(without(text, spans)).hexdigest()))
             types = [pa.int64(), pa.int64(), pa.int64(), pa.string()]
-            yield pa.RecordBatch.from_arrays([_ids(batch.column(0)), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
     return _with_verdicts(docs).mapInArrow(kernel, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string")
 
@@ -570,10 +587,11 @@ def strip_repeats(docs: DataFrame) -> DataFrame:
 
     All other columns stay as they are, and so do null texts. See :func:`remove_repeats`.
     """
-    known = verdicts(docs).select(F.col("doc_id").alias("repeat_doc_id"), F.col("blocks").alias("repeat_blocks")).hint("shuffle_hash")
+    rows = keyed(docs)
+    known = verdicts(rows).select(F.col("doc_id").alias(KEY), F.col("blocks").alias("repeat_blocks")).hint("shuffle_hash")
     columns = docs.columns
     at, chars = columns.index("text"), columns.index("n_chars") if "n_chars" in columns else None
-    both = docs.join(known, F.coalesce(docs["doc_id"].cast("long"), F.lit(NO_ID)) == known["repeat_doc_id"], "left").select(*columns, "repeat_blocks")
+    both = rows.join(known, KEY, "left").select(*columns, "repeat_blocks")
 
     def kernel(batches):
         for batch in batches:

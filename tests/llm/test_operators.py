@@ -551,6 +551,18 @@ def test_repeats_are_those_of_brute_force(spark, seed, hot, monkeypatch):
     assert got == brute_repeats(rows)
 
 
+def test_repeats_of_rows_that_share_a_doc_id_or_have_none(spark):
+    r = random.Random(3)
+    some = lambda n: "".join(r.choice("abcdefghijklmnop ") for _ in range(n))
+    p, q = some(90), some(70)
+    rows = [(2, some(80) + "!" + q), (5, p + some(60)), (5, some(200)), (5, some(30) + p), (None, q + "?" + some(200)), (None, some(400)), (None, some(50) + "#" + q + "%" + some(20)), (None, None)]
+    want = brute_repeats([(k, t) for k, (_, t) in enumerate(rows)])
+    got = sorted(tuple(x) for x in suffix.repeat_digests(table(spark, rows)).select("n_bytes", "n_removed", "n_spans", "kept_sha256").collect())
+    assert got == sorted(want.values()) and [want[k][1] for k in (2, 3, 4, 5, 6)] == [0, 90, 70, 0, 70]
+    texts = [x["text"] for x in suffix.strip_repeats(table(spark, rows)).where("doc_id IS NULL").collect()]
+    assert rows[5][1] in texts and None in texts
+
+
 def test_long_texts_come_in_overlapping_pieces(spark, monkeypatch):
     monkeypatch.setattr(suffix, "STEP_BYTES", 700)
     r = random.Random(11)
