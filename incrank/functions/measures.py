@@ -99,7 +99,7 @@ def scaling_table(times: DataFrame) -> DataFrame:
 
 def trace_table(spark, runs: list[tuple[str, str, int, list[dict]]]) -> DataFrame:
     """TRACE rows of (workload, method, batch, trace) entries."""
-    rows = [(f"{w}/{m}/{b}", w, m, b, t["superstep"], t["n_affected"], t["n_expanded"], t["n_settled"], t["edges_read"], float(t["linf"]), float(t["wall_ms"])) for w, m, b, trace in runs for t in trace]
+    rows = [(f"{w}/{m}/{b}", w, m, b, t["superstep"], t["n_affected"], t["n_expanded"], t["n_settled"], t["in_edges"], t["rows_scanned"], float(t["linf"]), float(t["wall_ms"])) for w, m, b, trace in runs for t in trace]
     from ..plans.model import TRACE
 
     return spark.createDataFrame(rows, TRACE)

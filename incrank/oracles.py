@@ -114,12 +114,50 @@ def rank_sql(workload: str, method: str, **kw) -> str:
     return f"{method_ctes(workload, method, **kw)} SELECT id, CAST(floor(r * 1e9 + 0.5) AS BIGINT) AS rank_e9, ever AS ever_affected FROM {last('run')}"
 
 
+def chained_sql(workload: str, method: str, n: int, fraction: float = 1e-3) -> str:
+    """Ranks after the first ``n`` slices of a temporal graph, each run from the ranks of the one before."""
+    cfg, plan = RankConfig(), METHODS[method]
+    parts = [f"""te AS MATERIALIZED ({EDGES[workload]}), v AS MATERIALIZED (SELECT DISTINCT id FROM (SELECT src AS id FROM te UNION ALL SELECT dst FROM te)), cnt AS MATERIALIZED (SELECT count(*) AS n FROM v),
+        tot AS (SELECT CAST(floor(0.9 * count(*)) AS BIGINT) AS k0, greatest(1, CAST(round({fraction!r} * count(*)) AS BIGINT)) AS b FROM te)"""]
+    for k in range(n + 1):
+        parts += [f"e_{k} AS MATERIALIZED (SELECT DISTINCT src, dst FROM te, tot WHERE seq <= k0 + {k} * b AND src <> dst UNION ALL SELECT id, id FROM v)", f"d_{k} AS MATERIALIZED (SELECT src AS id, count(*) AS deg FROM e_{k} GROUP BY src)"]
+        if not k:
+            parts.append(rounds_sql("run_0", "e_0", "d_0", _UNIFORM, METHODS["cold"], cfg))
+            continue
+        came = f"(SELECT src FROM e_{k} WHERE (src, dst) NOT IN (SELECT (src, dst) FROM e_{k - 1}))"
+        parts.append(f"s_{k} AS MATERIALIZED (SELECT dst AS id FROM e_{k} WHERE src IN {came})")
+        parts.append(rounds_sql(f"run_{k}", f"e_{k}", f"d_{k}", f"SELECT id, r, id IN (SELECT id FROM s_{k}) AS aff FROM {last(f'run_{k - 1}')}", plan, cfg))
+    return f"WITH RECURSIVE {', '.join(parts)} SELECT id, CAST(floor(r * 1e9 + 0.5) AS BIGINT) AS rank_e9 FROM {last(f'run_{n}')}"
+
+
+def grown_sql(workload: str) -> str:
+    """Warm ranks after a batch that brings in vertices: old ranks shrink to their share, new ones get an even share."""
+    late = "(src % 4 = 1 AND src % 3 = 0 OR dst % 4 = 1 AND dst % 3 = 0)"
+    ids = lambda e: f"SELECT DISTINCT id FROM (SELECT src AS id FROM {e} UNION ALL SELECT dst FROM {e})"
+    looped = lambda e, v: f"SELECT DISTINCT src, dst FROM {e} WHERE src <> dst UNION ALL SELECT id, id FROM {v}"
+    degrees = lambda e: f"SELECT src AS id, count(*) AS deg FROM {e} GROUP BY src"
+    first = rounds_sql("first", "e_0", "d_0", "SELECT id, 1.0::DOUBLE / (SELECT n FROM c_0) AS r, true AS aff FROM v_0", METHODS["cold"], RankConfig()).replace("FROM cnt", "FROM c_0")
+    start = f"SELECT v.id, coalesce(f.r * (SELECT n FROM c_0) / (SELECT n FROM cnt), 1.0 / (SELECT n FROM cnt)) AS r, true AS aff FROM v LEFT JOIN {last('first')} f ON f.id = v.id"
+    return f"""WITH RECURSIVE te AS MATERIALIZED ({EDGES[workload]}), t_0 AS MATERIALIZED (SELECT * FROM te WHERE NOT {late}), v_0 AS MATERIALIZED ({ids('t_0')}), c_0 AS MATERIALIZED (SELECT count(*) AS n FROM v_0),
+        e_0 AS MATERIALIZED ({looped('t_0', 'v_0')}), d_0 AS MATERIALIZED ({degrees('e_0')}), {first},
+        v AS MATERIALIZED ({ids('te')}), cnt AS MATERIALIZED (SELECT count(*) AS n FROM v), e_1 AS MATERIALIZED ({looped('te', 'v')}), d_1 AS MATERIALIZED ({degrees('e_1')}),
+        {rounds_sql('run', 'e_1', 'd_1', start, METHODS['warm'], RankConfig())} SELECT id, CAST(floor(r * 1e9 + 0.5) AS BIGINT) AS rank_e9 FROM {last('run')}"""
+
+
 def trace_sql(workload: str, method: str, **kw) -> str:
     return f"""{method_ctes(workload, method, **kw)}, ind AS (SELECT dst AS id, count(*) AS k FROM en GROUP BY dst)
-        SELECT it AS superstep, count(*) FILTER (was) AS n_affected, count(*) FILTER (hot) AS n_expanded, count(*) FILTER (settled) AS n_settled, CAST(coalesce(sum(ind.k) FILTER (was), 0) AS BIGINT) AS edges_read
+        SELECT it AS superstep, count(*) FILTER (was) AS n_affected, count(*) FILTER (hot) AS n_expanded, count(*) FILTER (settled) AS n_settled, CAST(coalesce(sum(ind.k) FILTER (was), 0) AS BIGINT) AS in_edges
         FROM run LEFT JOIN ind ON ind.id = run.id WHERE it > 0 GROUP BY it"""
 
 
+def run_sql(workload: str, method: str, ref_cfg: RankConfig, **kw) -> str:
+    """One row of a run: rounds, in-edges of affected vertices, vertices ever affected and in all, L1 error to the reference run."""
+    ref = rounds_sql("ref", "en", "dn", _UNIFORM, METHODS["cold"], ref_cfg)
+    return f"""{method_ctes(workload, method, **kw)}, {ref}, ind AS (SELECT dst AS id, count(*) AS k FROM en GROUP BY dst)
+        SELECT (SELECT max(it) FROM run) AS supersteps, (SELECT CAST(coalesce(sum(ind.k), 0) AS BIGINT) FROM run JOIN ind ON ind.id = run.id WHERE it > 0 AND was) AS in_edges,
+            (SELECT count(*) FILTER (ever) FROM {last('run')}) AS affected, (SELECT n FROM cnt) AS vertices, (SELECT sum(abs(a.r - b.r)) FROM {last('run')} a JOIN {last('ref')} b ON a.id = b.id) AS l1"""
+
+
 def affected_sql(workload: str, method: str, **kw) -> str:
     return f"{method_ctes(workload, method, **kw)} SELECT count(*) FILTER (ever) AS affected, count(*) AS vertices FROM {last('run')}"
 

@@ -15,7 +15,8 @@ from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from ..session import scratch, ship
-from .model import RankConfig, RankRun, Snapshot
+from .graph import Snapshot
+from .model import RankConfig, RankRun
 
 
 def _sweeps(alpha: float, n: int, sweeps: int):
@@ -61,7 +62,7 @@ def block_async_rank(g: Snapshot, cfg: RankConfig, prev: DataFrame | None = None
             step.write.parquet(path)
             state = spark.read.schema(schema).parquet(path).select("id", "rank", "deg")
             linf = seen.get["linf"]
-            trace.append({"superstep": len(trace) + 1, "n_affected": seen.get["n"], "n_expanded": 0, "n_settled": 0, "edges_read": g.n_edges, "linf": linf, "wall_ms": 0.0})
+            trace.append({"superstep": len(trace) + 1, "n_affected": seen.get["n"], "n_expanded": 0, "n_settled": 0, "in_edges": g.n_edges, "rows_scanned": g.n_edges + g.n_vertices, "linf": linf, "wall_ms": 0.0})
             if linf <= cfg.tau:
                 break
     finally:

@@ -13,13 +13,18 @@ from pyspark.sql import functions as F
 
 from ..functions import measures
 from ..sources import workloads
+from .kernel import local_sweep
+from .layers import RankTable
 from .marking import seed_frontier
 from .methods import advise, cold_rank, reference_rank, run_method
-from .model import FRONTIER, METHODS, PRUNED, RankConfig
-from .prepared import replay
-from .solver import solve
+from .model import FRONTIER, METHODS, PRUNED, MethodPlan, RankConfig
+from .planner import engine
+from .prepared import prepared, replay
+from .solver import solve, starting_state
 
-RUNS = "workload string, method string, fraction double, batch int, seconds double, supersteps int, edges_read bigint, affected bigint, vertices bigint, l1 double"
+#: The run that errors are measured against.
+REFERENCE = RankConfig(tau=1e-100, max_supersteps=500)
+RUNS = "workload string, method string, fraction double, batch int, seconds double, supersteps int, in_edges bigint, rows_scanned bigint, affected bigint, vertices bigint, l1 double"
 
 
 def replay_runs(spark: SparkSession, sf_dir: str, names: Iterable[str], methods: Iterable[str], fractions: Iterable[float], n_batches: int, cfg: RankConfig | None = None, reference: RankConfig | None = None) -> DataFrame:
@@ -28,21 +33,24 @@ def replay_runs(spark: SparkSession, sf_dir: str, names: Iterable[str], methods:
     Each method keeps its own ranks from batch to batch; time covers marking and stop tests, not the building of snapshots.
     """
     cfg, rows = cfg or RankConfig(), []
-    reference = reference or RankConfig(tau=1e-100, max_supersteps=500)
+    reference = reference or REFERENCE
     for w in names:
         for f in fractions:
-            ranks: dict[str, DataFrame] = {}
+            ranks: dict[str, RankTable] = {}
             for k, old, new, delta in replay(spark, sf_dir, w, f, n_batches):
                 if not k:
-                    first = cold_rank(old, cfg).ranks
-                    ranks = dict.fromkeys(methods, first)
-                ref = reference_rank(new, reference).ranks
+                    first = cold_rank(old, cfg)
+                    ranks = dict.fromkeys(methods, first.table(old.n_vertices))
+                    first.drop()
+                ref = reference_rank(new, reference)
                 for m in methods:
                     run = run_method(m, old, new, delta, ranks[m], cfg)
-                    ranks[m] = run.ranks
-                    l1 = measures.l1_error(run.ranks, ref).first()[0]
+                    ranks[m] = run.table(new.n_vertices)
+                    l1 = measures.l1_error(run.ranks, ref.ranks).first()[0]
                     affected = run.ranks.where("ever_affected").count()
-                    rows.append((w, m, float(f), k, run.seconds, run.supersteps, run.edges_read, affected, new.n_vertices, l1))
+                    rows.append((w, m, float(f), k, run.seconds, run.supersteps, run.in_edges, run.rows_scanned, affected, new.n_vertices, l1))
+                    run.drop()
+                ref.drop()
     return spark.createDataFrame(rows, RUNS)
 
 
@@ -58,10 +66,10 @@ def replay_random(spark, sf_dir, names=workloads.STATIC, methods=tuple(METHODS),
 
 def summary(runs: DataFrame) -> DataFrame:
     """method, fraction: geometric means of time and error over batches, then over workloads; speedup over cold; share affected; edges read over cold's."""
-    per = runs.groupBy("workload", "method", "fraction").agg(F.exp(F.avg(F.ln("seconds"))).alias("seconds"), F.exp(F.avg(F.ln(F.greatest("l1", F.lit(1e-300))))).alias("l1"), F.exp(F.avg(F.ln(F.greatest(F.col("edges_read").cast("double"), F.lit(1.0))))).alias("edges_read"), F.avg(F.col("affected") / F.col("vertices")).alias("affected_share"))
-    means = per.groupBy("method", "fraction").agg(*(F.exp(F.avg(F.ln(c))).alias(c) for c in ("seconds", "l1", "edges_read")), F.avg("affected_share").alias("affected_share"))
-    cold = means.where("method = 'cold'").select("fraction", F.col("seconds").alias("s0"), F.col("edges_read").alias("e0"), F.col("l1").alias("l0"))
-    return means.join(F.broadcast(cold), "fraction", "left").select("method", "fraction", "seconds", "l1", "affected_share", (F.col("s0") / F.col("seconds")).alias("speedup"), (F.col("e0") / F.col("edges_read")).alias("work_ratio"), (F.col("l1") / F.col("l0")).alias("error_ratio"))
+    per = runs.groupBy("workload", "method", "fraction").agg(F.exp(F.avg(F.ln("seconds"))).alias("seconds"), F.exp(F.avg(F.ln(F.greatest("l1", F.lit(1e-300))))).alias("l1"), F.exp(F.avg(F.ln(F.greatest(F.col("rows_scanned").cast("double"), F.lit(1.0))))).alias("rows_scanned"), F.avg(F.col("affected") / F.col("vertices")).alias("affected_share"))
+    means = per.groupBy("method", "fraction").agg(*(F.exp(F.avg(F.ln(c))).alias(c) for c in ("seconds", "l1", "rows_scanned")), F.avg("affected_share").alias("affected_share"))
+    cold = means.where("method = 'cold'").select("fraction", F.col("seconds").alias("s0"), F.col("rows_scanned").alias("e0"), F.col("l1").alias("l0"))
+    return means.join(F.broadcast(cold), "fraction", "left").select("method", "fraction", "seconds", "l1", "affected_share", (F.col("s0") / F.col("seconds")).alias("speedup"), (F.col("e0") / F.col("rows_scanned")).alias("work_ratio"), (F.col("l1") / F.col("l0")).alias("error_ratio"))
 
 
 def affected_report(runs: DataFrame) -> DataFrame:
@@ -70,12 +78,12 @@ def affected_report(runs: DataFrame) -> DataFrame:
 
 
 def batch_series(runs: DataFrame) -> DataFrame:
-    return runs.select("workload", "method", "fraction", "batch", "seconds", "l1", "supersteps", "edges_read")
+    return runs.select("workload", "method", "fraction", "batch", "seconds", "l1", "supersteps", "in_edges", "rows_scanned")
 
 
 def graph_breakdown(runs: DataFrame) -> DataFrame:
     """Geometric means by workload and method, with subtotals over workloads and in all."""
-    return runs.rollup("method", "workload").agg(F.exp(F.avg(F.ln("seconds"))).alias("seconds"), F.exp(F.avg(F.ln(F.greatest("l1", F.lit(1e-300))))).alias("l1"), F.sum("edges_read").alias("edges_read"))
+    return runs.rollup("method", "workload").agg(F.exp(F.avg(F.ln("seconds"))).alias("seconds"), F.exp(F.avg(F.ln(F.greatest("l1", F.lit(1e-300))))).alias("l1"), F.sum("rows_scanned").alias("rows_scanned"))
 
 
 #: Spread tolerances of each measure, from the largest: absolute ones are multiples of the stop tolerance.
@@ -85,27 +93,52 @@ SPREAD_GRID = {"abs": [1e-10 * 10.0**-k for k in range(6)], "share": [1e-10 * 10
 def _tune(spark, sf_dir, names, settings: list[tuple[str, RankConfig, str]], fraction: float, n_batches: int, reference: RankConfig | None) -> DataFrame:
     """One row for each setting, workload and batch: work and error, and cold's on the same batch."""
     rows = []
-    reference = reference or RankConfig(tau=1e-100, max_supersteps=500)
+    reference = reference or REFERENCE
     for w in names:
-        prev: DataFrame | None = None
+        prev: RankTable | None = None
         for k, old, new, delta in replay(spark, sf_dir, w, fraction, n_batches):
-            prev = prev if prev is not None else cold_rank(old).ranks
+            prev = prev if prev is not None else cold_rank(old).table(old.n_vertices)
             ref, cold = reference_rank(new, reference).ranks, cold_rank(new)
-            base = (cold.seconds, cold.edges_read, measures.l1_error(cold.ranks, ref).first()[0])
+            base = (cold.seconds, cold.in_edges, cold.rows_scanned, measures.l1_error(cold.ranks, ref).first()[0])
             for label, cfg, method in settings:
                 run = solve(new, {"pruned": PRUNED, "frontier": FRONTIER}[method], cfg, prev, seed_frontier(old, new, delta))
-                rows.append((label, cfg.expand_by, cfg.tau_f, cfg.tau_p, w, k, run.seconds, run.edges_read, measures.l1_error(run.ranks, ref).first()[0], *base))
-            prev = cold.ranks
-    return spark.createDataFrame(rows, "setting string, expand_by string, tau_f double, tau_p double, workload string, batch int, seconds double, edges_read bigint, l1 double, cold_seconds double, cold_edges_read bigint, cold_l1 double")
+                rows.append((label, cfg.expand_by, cfg.tau_f, cfg.tau_p, w, k, run.seconds, run.supersteps, run.in_edges, run.rows_scanned, measures.l1_error(run.ranks, ref).first()[0], *base))
+            prev = cold.table(new.n_vertices)
+    return spark.createDataFrame(rows, "setting string, expand_by string, tau_f double, tau_p double, workload string, batch int, seconds double, supersteps int, in_edges bigint, rows_scanned bigint, l1 double, cold_seconds double, cold_in_edges bigint, cold_rows_scanned bigint, cold_l1 double")
 
 
 def tuned(rows: DataFrame) -> DataFrame:
     """Per setting: mean speedup over cold in time and in edges read, mean error, and the share of graphs where the error is under cold's."""
     g = lambda c: F.exp(F.avg(F.ln(c)))
-    work = F.col("cold_edges_read") / F.greatest(F.col("edges_read"), F.lit(1))
+    work = F.col("cold_rows_scanned") / F.greatest(F.col("rows_scanned"), F.lit(1))
     return rows.groupBy("expand_by", "tau_f", "tau_p").agg(g(F.col("cold_seconds") / F.col("seconds")).alias("speedup"), g(work).alias("work_ratio"), g(F.greatest("l1", F.lit(1e-300))).alias("l1"), g("cold_l1").alias("cold_l1"), F.avg((F.col("l1") <= F.col("cold_l1")).cast("double")).alias("under_cold"))
 
 
+def sweep_work(spark: SparkSession, sf_dir: str, names: Iterable[str], settings: list[tuple[MethodPlan, RankConfig]], fraction: float) -> DataFrame:
+    """Rounds, work, reach and error of each setting on each graph's first batch: workload, setting, supersteps, in_edges, affected, l1.
+
+    A study of work and error: each graph is swept in one task, which is refused beyond ``local_edges``.
+    """
+    out = None
+    for w in names:
+        p = prepared(spark, sf_dir, w, fraction)
+        engine(RankConfig(engine="local"), p.new.n_edges, p.new.n_vertices)
+        ref = reference_rank(p.new, REFERENCE.but(engine="local")).ranks.select("id", F.col("rank").alias("ref"))
+        state = starting_state(p.new, p.base, seed_frontier(p.old, p.new, p.delta)).join(ref, "id")
+        rows = local_sweep(p.new.edges, state, p.new.n_vertices, settings).select(F.lit(w).alias("workload"), "*")
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
+#: Settings of the two tolerance studies.
+def spread_settings(grid=None) -> list[tuple[MethodPlan, RankConfig]]:
+    return [(FRONTIER, RankConfig(expand_by=kind, tau_f=t)) for kind, ts in (grid or SPREAD_GRID).items() for t in ts]
+
+
+def settle_settings(spreads=(1e-6, 1e-7, 1e-8), ratios=(1.0, 1e-1, 1e-2, 1e-3, 1e-4)) -> list[tuple[MethodPlan, RankConfig]]:
+    return [(PRUNED, RankConfig(tau_f=f, tau_p=f * r)) for f in spreads for r in ratios]
+
+
 def sweep_spread(spark, sf_dir, names=workloads.TEMPORAL, fraction: float = 1e-5, n_batches: int = 1, grid=None, reference=None) -> DataFrame:
     """Three measures of change, each over its tolerances, without pruning."""
     settings = [(f"{kind}/{t:.0e}", RankConfig(expand_by=kind, tau_f=t), "frontier") for kind, ts in (grid or SPREAD_GRID).items() for t in ts]
@@ -151,7 +184,7 @@ def worked_example(spark: SparkSession) -> DataFrame:
 
 def advise_report(runs: DataFrame) -> DataFrame:
     """workload: the fastest method by edges read among those whose error is not above cold's, and what the rules of thumb say."""
-    per = runs.groupBy("workload", "method").agg(F.avg("edges_read").alias("work"), F.avg("l1").alias("l1"))
+    per = runs.groupBy("workload", "method").agg(F.avg("rows_scanned").alias("work"), F.avg("l1").alias("l1"))
     cold = per.where("method = 'cold'").select("workload", F.col("l1").alias("limit"))
     best = per.join(F.broadcast(cold), "workload").where("l1 <= limit").groupBy("workload").agg(F.min_by("method", F.struct("work", "method")).alias("best"))
     errors: dict[str, dict[str, float]] = {}
@@ -169,10 +202,10 @@ from incrank.plans.prepared import prepared
 from incrank.plans.methods import run_method
 spark = local_session(int(sys.argv[1]), 8)
 p = prepared(spark, sys.argv[2], sys.argv[3], float(sys.argv[4]))
-cfg = RankConfig(engine="distributed")
+cfg = RankConfig()
 for m in sys.argv[5].split(","):
-    run_method(m, p.old, p.new, p.delta, p.base, cfg.but(max_supersteps=1))
-    print(json.dumps([m, int(sys.argv[1]), run_method(m, p.old, p.new, p.delta, p.base, cfg).seconds]))
+    run_method(m, p.old, p.new, p.delta, p.table, cfg.but(max_supersteps=1))
+    print(json.dumps([m, int(sys.argv[1]), run_method(m, p.old, p.new, p.delta, p.table, cfg).seconds]))
 """
 
 

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+from dataclasses import dataclass, field
+
+from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import stored
-from .model import DELTA, Snapshot
+from .layers import BROADCAST_KEYS, FOLD_SHARE, Bucketed, Keys, buckets_for, written
+from .kernel import own_rows
+from .model import DELTA
 
 
 def vertices_of(edges: DataFrame) -> DataFrame:
@@ -38,12 +43,17 @@ def update_degrees(degrees: DataFrame, delta: DataFrame) -> DataFrame:
     return degrees.select("id", "out_deg").unionByName(change).groupBy("id").agg(F.sum("out_deg").alias("out_deg")).where("out_deg > 0")
 
 
-def normalize_delta(edges: DataFrame, delta: DataFrame) -> DataFrame:
+def normalize_delta(graph: DataFrame | Snapshot, delta: DataFrame) -> DataFrame:
     """A batch as a set: self-loops go, deletions before insertions of the same edge cancel, and so does what changes nothing.
 
-    An edge that a batch both deletes and inserts counts as inserted. The result's deletions are in ``edges``, its insertions are not.
+    An edge that a batch both deletes and inserts counts as inserted. The result's deletions are in the graph, its insertions
+    are not. Of a snapshot, only the buckets of the batch's sources are read.
     """
     once = delta.where("src <> dst").groupBy("src", "dst").agg(F.min("op").alias("op"))  # '+' sorts before '-'
+    edges = graph
+    if isinstance(graph, Snapshot):
+        once = stored(once, "batch")
+        edges = graph.out_edges(Keys.of(once.select(F.col("src").alias("id")), graph.buckets))
     ins = once.where("op = '+'").join(edges, ["src", "dst"], "left_anti")
     dels = once.where("op = '-'").join(edges, ["src", "dst"], "left_semi")
     return ins.unionByName(dels).select("src", "dst", "op")
@@ -99,23 +109,172 @@ def encode_vertices(df: DataFrame, columns: list[str], key: str = "key") -> Data
     return number_rows(keys.where(F.col(key).isNotNull()).distinct(), [key], "id").select(key, (F.col("id") - 1).alias("id"))
 
 
-def snapshot(vertices: DataFrame, edges: DataFrame, self_loops: bool = True, version: int = 0) -> Snapshot:
-    """A snapshot with its edges and degrees written once and counted."""
-    spark = edges.sparkSession
-    full = with_self_loops(edges.distinct(), vertices) if self_loops else edges.select("src", "dst").distinct()
-    full = stored(full, "edges")
-    vertices = stored(vertices.select("id").distinct(), "vertices")
-    degrees = stored(vertices.join(out_degrees(full), "id", "left").select("id", F.coalesce("out_deg", F.lit(0)).alias("out_deg")), "degrees")
-    del spark
-    return Snapshot(vertices, full, degrees, vertices.count(), full.count(), version)
+@dataclass
+class Base:
+    """Edges in two layouts, by source and by target, and vertices with their degrees, all in buckets of the same number."""
+
+    out: Bucketed
+    into: Bucketed
+    degs: Bucketed
+    max_out: int
+
+    def drop(self) -> None:
+        for layout in (self.out, self.into, self.degs):
+            layout.drop()
+
 
+@dataclass
+class Snapshot:
+    """A graph at one time: a base, and what has changed since.
 
-def next_snapshot(g: Snapshot, delta: DataFrame) -> Snapshot:
-    """The snapshot after a normalised batch; vertices stay, self-loops are never deleted, degrees follow from the batch."""
-    edges = stored(apply_delta(g.edges, delta), "edges")
-    change = delta.groupBy(F.col("src").alias("id")).agg(F.sum(F.when(F.col("op") == "+", 1).otherwise(-1)).cast("bigint").alias("change"))
-    degrees = stored(g.degrees.join(change, "id", "left").select("id", (F.col("out_deg") + F.coalesce("change", F.lit(0))).alias("out_deg")), "degrees")
-    return Snapshot(g.vertices, edges, degrees, g.n_vertices, edges.count(), g.version + 1)
+    ``net`` has the edges that the base lacks (+) or has too many (-), ``added`` the vertices that it lacks. Both are small:
+    beyond a share of the base they are folded into a new one.
+    """
+
+    base: Base
+    n_vertices: int
+    n_edges: int
+    self_loops: bool = True
+    net: DataFrame | None = None
+    net_path: str | None = None
+    n_net: int = 0
+    added: DataFrame | None = None
+    added_path: str | None = None
+    n_added: int = 0
+    version: int = 0
+    home: str | None = None
+    _laid: dict[int, DataFrame] = field(default_factory=dict, repr=False)
+
+    @property
+    def spark(self) -> SparkSession:
+        return self.base.out.spark
+
+    @property
+    def buckets(self) -> int:
+        return self.base.out.buckets
+
+    def _small(self, df: DataFrame) -> DataFrame:
+        return F.broadcast(df) if self.n_net + self.n_added <= BROADCAST_KEYS else df
+
+    def _changed(self, part: DataFrame, net: DataFrame | None) -> DataFrame:
+        if net is None:
+            return part
+        gone = net.where("op = '-'").select("src", "dst")
+        return part.join(self._small(gone), ["src", "dst"], "left_anti").unionByName(net.where("op = '+'").select("src", "dst"))
+
+    def _net_of(self, keys: Keys, column: str) -> DataFrame | None:
+        return None if self.net is None else self.net.join(keys.semi(column), column, "left_semi").select("src", "dst", "op")
+
+    @property
+    def edges(self) -> DataFrame:
+        return self._changed(self.base.out.df, self.net)
+
+    def out_edges(self, keys: Keys) -> DataFrame:
+        """Edges that start at some vertices."""
+        return self._changed(self.base.out.of(keys), self._net_of(keys, "src"))
+
+    def in_edges(self, keys: Keys) -> DataFrame:
+        """Edges that end at some vertices."""
+        return self._changed(self.base.into.of(keys).select("src", "dst"), self._net_of(keys, "dst"))
+
+    def _degrees(self, known: DataFrame, added: DataFrame | None) -> DataFrame:
+        rows = known if added is None else known.unionByName(added.select("id", F.lit(0).cast("bigint").alias("out_deg"), F.lit(0).cast("bigint").alias("in_deg")))
+        if self.net is None:
+            return rows
+        one = F.when(F.col("op") == "+", 1).otherwise(-1).cast("bigint")
+        zero = F.lit(0).cast("bigint")
+        each = self.net.select(F.col("src").alias("id"), one.alias("d_out"), zero.alias("d_in")).unionByName(self.net.select(F.col("dst").alias("id"), zero.alias("d_out"), one.alias("d_in")))
+        change = each.groupBy("id").agg(F.sum("d_out").alias("d_out"), F.sum("d_in").alias("d_in"))
+        plus = lambda c, d: (F.col(c) + F.coalesce(d, zero)).alias(c)
+        return rows.join(self._small(change), "id", "left").select("id", plus("out_deg", "d_out"), plus("in_deg", "d_in"))
+
+    @property
+    def degrees(self) -> DataFrame:
+        """id, out_deg, in_deg of all vertices."""
+        return self._degrees(self.base.degs.df, self.added)
+
+    def degrees_of(self, keys: Keys) -> DataFrame:
+        added = None if self.added is None else self.added.join(keys.semi("id"), "id", "left_semi")
+        return self._degrees(self.base.degs.of(keys), added)
+
+    def degrees_in(self, touched: tuple[int, ...]) -> DataFrame:
+        """At least the degrees of the vertices of some buckets."""
+        return self._degrees(self.base.degs.some(touched), self.added)
+
+    @property
+    def vertices(self) -> DataFrame:
+        ids = self.base.degs.df.select("id")
+        return ids if self.added is None else ids.unionByName(self.added.select("id"))
+
+    def laid(self, parts: int) -> DataFrame:
+        """All edges, and each vertex's own row, dealt and sorted by source, kept for the rounds of all runs on this snapshot; lost parts are read again."""
+        if parts not in self._laid:
+            rows = self.edges.select("src", "dst", F.lit(False).alias("own")).unionByName(own_rows(self.vertices))
+            self._laid[parts] = rows.repartition(parts, "src").sortWithinPartitions("src").persist(StorageLevel.MEMORY_AND_DISK)
+        return self._laid[parts]
+
+    def release(self) -> None:
+        for laid in self._laid.values():
+            laid.unpersist()
+        self._laid.clear()
+
+
+def snapshot(vertices: DataFrame, edges: DataFrame, self_loops: bool = True, version: int = 0, home: str | None = None) -> Snapshot:
+    """A snapshot with its edges written by source and by target, and its degrees; counted while they are written."""
+    ids = vertices.select("id").distinct()
+    full = with_self_loops(edges.distinct(), ids) if self_loops else edges.select("src", "dst").distinct()
+    full, _, got = written(full, "edges", home, n=F.count(F.lit(1)))
+    buckets = buckets_for(got["n"])
+    out = Bucketed.write(full, "src", buckets, "edges-out", home, got["n"])
+    into = Bucketed.write(full.select("dst", "src"), "dst", buckets, "edges-in", home, got["n"])
+    zero = F.lit(0).cast("bigint")
+    each = full.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("out_deg")).withColumn("in_deg", zero).unionByName(full.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("in_deg")).select("id", zero.alias("out_deg"), "in_deg"))
+    counted = each.unionByName(ids.select("id", zero.alias("out_deg"), zero.alias("in_deg"))).groupBy("id").agg(F.sum("out_deg").alias("out_deg"), F.sum("in_deg").alias("in_deg"))
+    known = ids.join(counted, "id")
+    degs = Bucketed.write(known, "id", buckets, "degrees", home, got["n"])
+    top = degs.df.agg(F.coalesce(F.max("out_deg"), zero)).first()[0]
+    return Snapshot(Base(out, into, degs, top), degs.n, out.n, self_loops, version=version, home=home)
+
+
+def next_snapshot(g: Snapshot, delta: DataFrame, universe: str = "fixed") -> Snapshot:
+    """The snapshot after a normalised batch; writes what has changed since the base, not the graph.
+
+    fixed: changes name vertices of the graph only, any other is an error. grow: insertions bring new vertices, each with its
+    self-loop where the graph has them.
+    """
+    ends = delta.select(F.col("src").alias("id")).unionByName(delta.select(F.col("dst").alias("id"))).distinct()
+    keys = Keys.of(ends, g.buckets)
+    fresh, added_path, got = written(keys.ids.join(g.degrees_of(keys).select("id"), "id", "left_anti"), "added", g.home, n=F.count(F.lit(1)))
+    n_fresh = got["n"]
+    if n_fresh and universe == "fixed":
+        raise ValueError(f"{n_fresh} vertices of the batch are not in the graph; universe='grow' takes them in")
+    rows = delta.select("src", "dst", "op")
+    if n_fresh and g.self_loops:
+        rows = rows.unionByName(fresh.select(F.col("id").alias("src"), F.col("id").alias("dst"), F.lit("+").alias("op")))
+    change = F.coalesce(F.sum(F.when(F.col("op") == "+", 1).otherwise(-1)), F.lit(0)).cast("bigint")
+    rows, rows_path, seen = written(rows, "net", g.home, n=F.count(F.lit(1)), change=change)
+    net, net_path, n_net = rows, rows_path, seen["n"]
+    if g.net is not None:
+        # what a batch does to an edge that has changed before takes that change back
+        both = rows.join(g.net.select("src", "dst"), ["src", "dst"], "left_anti").unionByName(g.net.join(rows.select("src", "dst"), ["src", "dst"], "left_anti"))
+        net, net_path, got = written(both.select("src", "dst", "op"), "net", g.home, n=F.count(F.lit(1)))
+        n_net = got["n"]
+    added, n_added = (g.added, g.n_added)
+    if n_fresh:
+        if g.added is not None:
+            fresh, added_path, _ = written(fresh.unionByName(g.added), "added", g.home, n=F.count(F.lit(1)))
+        added, n_added = fresh, g.n_added + n_fresh
+    else:
+        added_path = g.added_path
+    new = Snapshot(g.base, g.n_vertices + n_fresh, g.n_edges + seen["change"], g.self_loops, net, net_path, n_net, added, added_path, n_added, g.version + 1, g.home)
+    return folded(new) if n_net + n_added > FOLD_SHARE * g.base.out.n else new
+
+
+def folded(g: Snapshot) -> Snapshot:
+    """The same graph with a base of its own; each change is folded in a bounded number of times, as the overlay grows with the base."""
+    new = snapshot(g.vertices, g.edges, False, g.version, g.home)
+    new.self_loops = g.self_loops
+    return new
 
 
 def profile(edges: DataFrame, tedges: DataFrame | None = None) -> DataFrame:

@@ -6,7 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..session import stored
-from .model import Snapshot
+from .graph import Snapshot
+from .layers import Keys, Steps
 
 
 def sources(delta: DataFrame) -> DataFrame:
@@ -18,10 +19,16 @@ def spread(edges: DataFrame, hot: DataFrame) -> DataFrame:
     return edges.join(hot.select(F.col("id").alias("src")), "src", "left_semi").select(F.col("dst").alias("id")).distinct()
 
 
+def neighbours(g: Snapshot, keys: Keys) -> DataFrame:
+    """Out-neighbours of few vertices: only their buckets are read."""
+    return g.out_edges(keys).select(F.col("dst").alias("id"))
+
+
 def seed_frontier(old: Snapshot, new: Snapshot, delta: DataFrame) -> DataFrame:
     """Out-neighbours, in the old graph or the new one, of every vertex whose out-edges changed."""
-    changed = sources(delta)
-    return spread(old.edges, changed).unionByName(spread(new.edges, changed)).distinct()
+    before = Keys.of(sources(delta), old.buckets)
+    after = before if new.buckets == old.buckets else Keys.of(before.ids, new.buckets)
+    return neighbours(old, before).unionByName(neighbours(new, after)).distinct()
 
 
 def settle(rel: Column, tau_p: float) -> Column:
@@ -51,17 +58,29 @@ def reachable(edges: DataFrame, start: DataFrame, most_levels: int | None = None
 
 def reach_set(old: Snapshot, new: Snapshot, delta: DataFrame, scope: str = "either", most_share: float | None = None) -> DataFrame | None:
     """Everything reachable from a changed edge's source: in the old graph or in the new one (``either``: two closures,
-    taken as one over edges tagged by side), or in their union (``union``: a superset, one closure).
+    level by level at once), or in their union (``union``: a superset, one closure).
 
-    None if more than ``most_share`` of the vertices are reached: marking them would cost more than it saves.
+    A level reads the buckets of its vertices only. None if more than ``most_share`` of the vertices are reached: marking them
+    would cost more than it saves.
     """
-    start = sources(delta)
-    limit = None if most_share is None else int(most_share * new.n_vertices)
-    if scope == "union":
-        seen = reachable(old.edges.unionByName(new.edges).distinct(), start, most_rows=limit)
-        return None if seen is None else seen.select("id")
-    # two closures at once: vertex 2v is v in the old graph, 2v+1 is v in the new one
-    both = old.edges.select((F.col("src") * 2).alias("src"), (F.col("dst") * 2).alias("dst")).unionByName(new.edges.select((F.col("src") * 2 + 1).alias("src"), (F.col("dst") * 2 + 1).alias("dst")))
-    begin = start.select((F.col("id") * 2).alias("id")).unionByName(start.select((F.col("id") * 2 + 1).alias("id")))
-    seen = reachable(both, begin, most_rows=None if limit is None else 2 * limit)
-    return None if seen is None else seen.select(F.shiftright("id", 1).alias("id")).distinct()
+    limit = None if most_share is None else int(most_share * new.n_vertices) * (1 if scope == "union" else 2)
+    sides = [0] if scope == "union" else [0, 1]
+    begin = sources(delta)
+    level = begin.select("id", F.explode(F.array(*map(F.lit, sides))).alias("side"))
+    seen, total, steps = None, 0, Steps(begin.sparkSession)
+    while True:
+        level, got = steps.put(level, n=F.count(F.lit(1)))
+        total += got["n"]
+        if limit is not None and total > limit:
+            return None
+        if not got["n"]:
+            break
+        seen = level if seen is None else seen.unionByName(level)
+        if scope == "union":
+            keys = Keys.of(level, old.buckets, steps)
+            other = keys if new.buckets == old.buckets else Keys.of(level, new.buckets, steps)
+            found = neighbours(old, keys).unionByName(neighbours(new, other)).select("id", F.lit(0).alias("side"))
+        else:
+            found = neighbours(old, Keys.of(level.where("side = 0"), old.buckets, steps)).select("id", F.lit(0).alias("side")).unionByName(neighbours(new, Keys.of(level.where("side = 1"), new.buckets, steps)).select("id", F.lit(1).alias("side")))
+        level = found.distinct().join(seen, ["id", "side"], "left_anti")
+    return begin if seen is None else seen.select("id").distinct()

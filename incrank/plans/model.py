@@ -6,12 +6,15 @@ from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame
 
+from ..session import drop_path
+from .layers import Bucketed, RankTable
+
 VERTEX = "id bigint"
 EDGE = "src bigint, dst bigint"
 TEDGE = "src bigint, dst bigint, seq bigint"
 DELTA = "src bigint, dst bigint, op string"
 RANK = "id bigint, rank double"
-TRACE = "run_id string, workload string, method string, batch int, superstep int, n_affected bigint, n_expanded bigint, n_settled bigint, edges_read bigint, linf double, wall_ms double"
+TRACE = "run_id string, workload string, method string, batch int, superstep int, n_affected bigint, n_expanded bigint, n_settled bigint, in_edges bigint, rows_scanned bigint, linf double, wall_ms double"
 
 
 @dataclass(frozen=True)
@@ -21,7 +24,9 @@ class RankConfig:
     norm: linf, l1 or l2 of the changes of a round. expand_by: rel (change over the larger rank),
     abs, or share (change over out-degree). dangling: self_loops, redistribute or none.
     tolerance_scale: absolute, or mean_rank, which multiplies changes by V / scale_vertices before ``tau``.
-    engine: distributed, local (one task; refused beyond local_edges), or auto.
+    engine: distributed, or local (one task, on request only; refused beyond local_edges).
+    direction: push runs over all edges; pull over the in-edges of vertices ever affected, fetched as they are marked;
+    auto pulls until those are more than the share ``push_share`` of the edges.
     """
 
     alpha: float = 0.85
@@ -35,17 +40,16 @@ class RankConfig:
     tolerance_scale: str = "absolute"
     scale_vertices: float = 1e6
     direction: str = "auto"
-    engine: str = "auto"
+    engine: str = "distributed"
     local_edges: int = 2_000_000
-    broadcast_rows: int = 1_000_000
-    push_share: float = 0.05
+    push_share: float = 0.25
     hub_degree: int = 1_000_000
 
     def but(self, **changes) -> RankConfig:
         return replace(self, **changes)
 
     def __post_init__(self) -> None:
-        for name, allowed in (("norm", ("linf", "l1", "l2")), ("expand_by", ("rel", "abs", "share")), ("dangling", ("self_loops", "redistribute", "none")), ("tolerance_scale", ("absolute", "mean_rank")), ("direction", ("auto", "pull", "push")), ("engine", ("auto", "local", "distributed"))):
+        for name, allowed in (("norm", ("linf", "l1", "l2")), ("expand_by", ("rel", "abs", "share")), ("dangling", ("self_loops", "redistribute", "none")), ("tolerance_scale", ("absolute", "mean_rank")), ("direction", ("auto", "pull", "push")), ("engine", ("local", "distributed"))):
             if getattr(self, name) not in allowed:
                 raise ValueError(f"{name} is one of {allowed}")
         if not 0 < self.alpha < 1:
@@ -72,31 +76,48 @@ PRUNED = MethodPlan("pruned", True, "neighbours", expand=True, prune=True, formu
 METHODS = {m.name: m for m in (COLD, WARM, REACH, FRONTIER, PRUNED)}
 
 
-@dataclass
-class Snapshot:
-    """A graph at one time: vertices (id), edges (src, dst) without duplicates, degrees (id, out_deg), and their counts."""
-
-    vertices: DataFrame
-    edges: DataFrame
-    degrees: DataFrame
-    n_vertices: int
-    n_edges: int
-    version: int = 0
-
-
 @dataclass
 class RankRun:
-    """Result of a run: ranks (id, rank, ever_affected) and one trace entry per superstep."""
+    """Result of a run: ranks (id, rank, ever_affected) and one trace entry per superstep.
+
+    In the trace, ``in_edges`` counts those of affected vertices, ``rows_scanned`` what the round really read: edges, states, lookups.
+    """
 
     method: str
     ranks: DataFrame
     trace: list[dict] = field(default_factory=list)
     seconds: float = 0.0
+    #: (id, rank) of the rows that the run may have changed; None where that is all of them.
+    changed: DataFrame | None = None
+    started_from: RankTable | None = None
+    buckets: int = 16
+    #: Written tables that ``ranks`` reads.
+    paths: list[str] = field(default_factory=list)
+    _table: RankTable | None = field(default=None, repr=False)
 
     @property
     def supersteps(self) -> int:
         return len(self.trace)
 
     @property
-    def edges_read(self) -> int:
-        return sum(t["edges_read"] for t in self.trace)
+    def in_edges(self) -> int:
+        return sum(t["in_edges"] for t in self.trace)
+
+    @property
+    def rows_scanned(self) -> int:
+        return sum(t["rows_scanned"] for t in self.trace)
+
+    def drop(self) -> None:
+        """Delete what the run wrote; its ranks can't be read after that, but :meth:`table` can, if it was asked for before."""
+        for path in self.paths:
+            drop_path(self.ranks.sparkSession, path)
+        self.paths.clear()
+
+    def table(self, n: int, home: str | None = None) -> RankTable:
+        """The ranks as a table to start the next run from; writes changed rows only, where the run touched only some."""
+        if self._table is None:
+            if self.changed is not None and self.started_from is not None and isinstance(self.started_from.base, Bucketed):
+                self._table = self.started_from.updated(self.changed)
+            else:
+                self._table = RankTable.store(self.ranks, self.buckets, n, home)
+        return self._table

@@ -1,29 +1,51 @@
-"""Choices for the next superstep, from what the last one observed."""
+"""Choices for a run and its next superstep, from what has been counted."""
 
 from __future__ import annotations
 
+import math
+
 from .model import RankConfig
 
+#: Rounds over fewer rows are interpreted, those over more are compiled.
+COMPILED_ROWS = 300_000
+#: Rows of a partition aimed at in a run's tables.
+PART_ROWS = 200_000
+
 
 def engine(cfg: RankConfig, n_edges: int, n_vertices: int) -> str:
-    """One task only for graphs whose size has been counted and is within the bound."""
-    fits = n_edges + n_vertices <= cfg.local_edges
-    if cfg.engine == "local" and not fits:
+    """Distributed, unless one task is asked for; that is refused beyond the bound."""
+    if cfg.engine == "local" and n_edges + n_vertices > cfg.local_edges:
         raise ValueError(f"{n_edges} edges and {n_vertices} vertices are more than local_edges = {cfg.local_edges}")
-    return "local" if fits and cfg.engine in ("auto", "local") else "distributed"
+    return cfg.engine
 
 
-def direction(cfg: RankConfig, affected: int, n_vertices: int) -> str:
-    """Pull picks the in-edges of few affected vertices; push reads all edges but shuffles only sums."""
+def direction(cfg: RankConfig, in_edges: int, n_edges: int) -> str:
+    """Pull fetches and keeps the in-edges of the vertices ever affected, while they are few; push runs over all edges."""
     if cfg.direction != "auto":
         return cfg.direction
-    return "pull" if affected <= cfg.push_share * n_vertices else "push"
+    return "pull" if in_edges <= cfg.push_share * n_edges else "push"
 
 
-def broadcast_frontier(cfg: RankConfig, affected: int) -> bool:
-    return affected <= cfg.broadcast_rows
+def partitions(rows: int, most: int, cores: int) -> int:
+    """Partitions of a run's tables: by rows, and enough for all cores as soon as there is work for them."""
+    by_rows = -(-rows // PART_ROWS)
+    return max(1, min(most, max(by_rows, min(cores, -(-rows // 5_000)))))
 
 
 def hub_salts(cfg: RankConfig, max_out_degree: int) -> int:
     """Into how many parts the edges of a hub are dealt; 1 where no source has more than ``hub_degree`` edges."""
     return 1 if max_out_degree <= cfg.hub_degree else min(256, -(-max_out_degree // cfg.hub_degree))
+
+
+#: A job does as many rounds as take so many seconds, at most so many.
+CHAIN_SECONDS, MOST_CHAINED = 2.0, 8
+
+
+def chained(before: int, seconds: float, norms: list[float], tau: float) -> int:
+    """Rounds of the next job: twice those of the last one, as long as rounds are short and the stop is not expected sooner."""
+    if not seconds:
+        return 1
+    rounds = max(1, min(MOST_CHAINED, 2 * before, int(CHAIN_SECONDS / seconds)))
+    if len(norms) == 2 and 0 < norms[1] < norms[0] and norms[1] > tau > 0:
+        rounds = min(rounds, max(1, math.ceil(math.log(tau / norms[1]) / math.log(norms[1] / norms[0]))))
+    return rounds

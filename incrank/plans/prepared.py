@@ -9,9 +9,10 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..session import stored
 from ..sources import batches, workloads
-from .graph import next_snapshot, normalize_delta, snapshot, vertices_of
+from .graph import Snapshot, next_snapshot, normalize_delta, snapshot, vertices_of
+from .layers import RankTable
 from .methods import cold_rank
-from .model import RankConfig, Snapshot
+from .model import RankConfig
 
 #: One slice of this share of the temporal edges, or of the edges of a static graph, is a query's batch.
 FRACTION = 1e-3
@@ -23,7 +24,12 @@ class Prepared:
     old: Snapshot
     new: Snapshot
     delta: DataFrame
-    base: DataFrame
+    table: RankTable
+
+    @property
+    def base(self) -> DataFrame:
+        """Ranks of the old graph."""
+        return self.table.df
 
 
 _ready: dict[tuple, Prepared] = {}
@@ -49,8 +55,9 @@ def prepared(spark: SparkSession, sf_dir: str, workload: str, fraction: float =
             delta = static_batch(vertices, old_edges, fraction)
         loops = cfg.dangling == "self_loops"
         old = snapshot(vertices, old_edges, loops)
-        delta = stored(normalize_delta(old.edges, delta), "delta")
-        _ready[key] = Prepared(workload, old, next_snapshot(old, delta), delta, cold_rank(old, cfg).ranks.select("id", "rank"))
+        delta = stored(normalize_delta(old, delta), "delta")
+        _ready[key] = Prepared(workload, old, next_snapshot(old, delta), delta, cold_rank(old, cfg).table(old.n_vertices))
+        old.release()
     return _ready[key]
 
 
@@ -68,7 +75,11 @@ def replay(spark: SparkSession, sf_dir: str, workload: str, fraction: float, n:
             raw = slices.where(f"batch = {k}").select("src", "dst", "op")
         else:
             raw = static_batch(vertices, g.edges.where("src <> dst"), fraction, seed + k)
-        delta = stored(normalize_delta(g.edges, raw), "delta")
+        delta = stored(normalize_delta(g, raw), "delta")
         new = next_snapshot(g, delta)
         yield k, g, new, delta
+        g.release()
+        if new.base is not g.base:
+            g.base.drop()
         g = new
+    g.release()

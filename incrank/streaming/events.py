@@ -152,18 +152,32 @@ def stream_edge_ttl(spark, sf_dir):
     return finished(expiring_edges(stream, 2 * 86_400_000), "append")
 
 
-@op(f"SELECT id, rank_e9 FROM ({oracles.rank_sql('event_flow', 'pruned')})")
+@op(f"SELECT id, rank_e9 FROM ({oracles.chained_sql('event_flow', 'pruned', 3)})")
 def stream_rank_maintain(spark, sf_dir):
-    """The first slice after the preload, as a stream: the maintainer's ranks are those of the pruned method."""
+    """The first three slices after the preload, a micro-batch each: the maintainer's ranks are those of three batches of the pruned method."""
     edges = stored(workloads.event_flow(spark, sf_dir), "event-flow")
     total = edges.count()
-    keeper = RankMaintainer(spark, scratch(spark, "maintained"))
+    keeper = RankMaintainer(spark, scratch(spark, "maintained"), universe="fixed")
     keeper.start(workloads.universe(edges), batches.preload_split(edges, total))
     path = scratch(spark, "changes")
-    batches.slice_batches(edges, total, 1e-3, 1).select("src", "dst", "op").coalesce(1).write.parquet(path)
-    changes = spark.readStream.schema("src bigint, dst bigint, op string").parquet(path)
+    slices = stored(batches.slice_batches(edges, total, 1e-3, 3), "slices")
+    for k in range(3):  # files are read in the order of their times
+        slices.where(f"batch = {k}").select("src", "dst", "op").coalesce(1).write.mode("append").parquet(path)
+    changes = spark.readStream.schema("src bigint, dst bigint, op string").option("maxFilesPerTrigger", 1).parquet(path)
     keeper.write_stream(changes, scratch(spark, "offsets")).awaitTermination()
-    return keeper.ranks.read().select("id", rank_e9(F.col("rank")).alias("rank_e9"))
+    return keeper.read().select("id", rank_e9(F.col("rank")).alias("rank_e9"))
+
+
+@op(f"SELECT id, rank_e9 FROM ({oracles.grown_sql('geo_tree')})")
+def stream_rank_grow(spark, sf_dir):
+    """A tree without one of its regions' nations at first; a batch brings them in, as new vertices with their links: ranks by warm rounds from scaled old ones."""
+    e = stored(workloads.geo_tree(spark, sf_dir), "tree")
+    late = "src % 4 = 1 AND src % 3 = 0 OR dst % 4 = 1 AND dst % 3 = 0"
+    keeper = RankMaintainer(spark, scratch(spark, "grown"), method="warm")
+    first = e.where(f"NOT ({late})")
+    keeper.start(workloads.universe(first), first)
+    keeper.step(e.where(late), 0)
+    return keeper.read().select("id", rank_e9(F.col("rank")).alias("rank_e9"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -36,8 +36,7 @@ def cases():
     from incrank.operators import blocks, ranks, relational
     from incrank.streaming import events
 
-    some = [n for n in ranks.oracle_sql() if n.endswith(("_event_flow", "_geo_tree")) or n.startswith("variant_")]
-    some = [n for n in some if not n.startswith("distributed_")]
+    some = [n for n in ranks.oracle_sql() if n.endswith("_event_flow") or n.endswith("pruned_geo_tree") or n.startswith("variant_")]
     return [(ranks, n) for n in some] + [(m, n) for m in (blocks, relational, events) for n in m.oracle_sql()]
 
 

@@ -12,9 +12,10 @@ from incrank.plans import methods as M
 from incrank.plans.experiments import worked_example
 from incrank.plans.graph import apply_delta, diff_snapshots, next_snapshot, normalize_delta, snapshot
 from incrank.plans.kernel import pull_shares, push_shares
+from incrank.plans.layers import Keys, RankTable
 from incrank.plans.marking import reach_set, seed_frontier
 from incrank.plans.model import DELTA, EDGE, METHODS, MethodPlan, RankConfig
-from incrank.plans.planner import direction, engine
+from incrank.plans.planner import chained, direction, engine, partitions
 from incrank.plans.prepared import prepared
 from incrank.plans.solver import solve
 from incrank.sources import workloads
@@ -25,6 +26,9 @@ BEFORE = [47707449, 99510409, 33935361, 56191132, 33935361, 145743042, 28603047,
 AFTER = [11904762, 120541133, 20703934, 37237038, 20703934, 141026239, 28603047, 76958707, 44745609, 82218036, 30043667, 46951732, 24959124, 69356488, 96009100, 148037449]
 
 
+LOCAL = RankConfig(engine="local")
+
+
 def graph(spark, edges, n=None, first=0, loops=True):
     ids = range(first, first + n) if n else sorted({x for e in edges for x in e})
     return snapshot(spark.createDataFrame([(i,) for i in ids], "id bigint"), spark.createDataFrame(edges, EDGE), loops)
@@ -39,10 +43,10 @@ def example(spark):
     v, e, d = workloads.example16(spark)
     old = snapshot(v, e)
     delta = normalize_delta(old.edges, d)
-    return old, next_snapshot(old, delta), delta, M.cold_rank(old)
+    return old, next_snapshot(old, delta), delta, M.cold_rank(old, LOCAL)
 
 
-@pytest.mark.parametrize("cfg", [RankConfig(engine="local"), RankConfig(engine="distributed", max_supersteps=6)])
+@pytest.mark.parametrize("cfg", [LOCAL, RankConfig(tau=1e-4)])
 def test_single_vertex_cycle_and_star(spark, cfg):
     assert ranks(M.cold_rank(graph(spark, [], 1), cfg)) == {0: pytest.approx(1.0)}
     cycle = graph(spark, [(0, 1), (1, 2), (2, 0)])
@@ -50,10 +54,10 @@ def test_single_vertex_cycle_and_star(spark, cfg):
 
 
 def test_closed_forms(spark):
-    pair = ranks(M.cold_rank(graph(spark, [(0, 1)])))
+    pair = ranks(M.cold_rank(graph(spark, [(0, 1)]), LOCAL))
     assert pair[0] == pytest.approx(0.130434783, abs=1e-8) and pair[1] == pytest.approx(0.869565217, abs=1e-8)
     n = 5
-    star = ranks(M.cold_rank(graph(spark, [(k, 0) for k in range(1, n + 1)])))
+    star = ranks(M.cold_rank(graph(spark, [(k, 0) for k in range(1, n + 1)]), LOCAL))
     leaf = 0.15 / (n + 1) / 0.575
     assert star[1] == pytest.approx(leaf, abs=1e-9) and star[0] == pytest.approx(1 - n * leaf, abs=1e-8)
 
@@ -62,10 +66,10 @@ def test_example_ranks(example):
     old, new, delta, base = example
     got = [r[0] for r in base.ranks.orderBy("id").select(rank_e9(F.col("rank"))).collect()]
     assert got == BEFORE and base.supersteps == 49
-    ref = M.reference_rank(new, RankConfig(max_supersteps=150))
+    ref = M.reference_rank(new, LOCAL.but(max_supersteps=150))
     assert [r[0] for r in ref.ranks.orderBy("id").select(rank_e9(F.col("rank"))).collect()] == AFTER
-    frontier = M.frontier_rank(old, new, delta, base.ranks)
-    pruned = M.pruned_rank(old, new, delta, base.ranks)
+    frontier = M.frontier_rank(old, new, delta, base.ranks, LOCAL)
+    pruned = M.pruned_rank(old, new, delta, base.ranks, LOCAL)
     for run in (frontier, pruned):
         assert run.ranks.where("ever_affected").count() == 13
         assert {r["id"] for r in run.ranks.where("NOT ever_affected").collect()} == {7, 11, 13}
@@ -85,16 +89,53 @@ def test_example_roles_without_self_loops(spark):
     assert roles[2, "settled"] == {1, 8, 12, 10} and roles[9, "never reached"] == {7, 11, 13}
 
 
-@pytest.mark.parametrize("method", list(METHODS))
-def test_distributed_rounds_are_local_rounds(example, method):
-    old, new, delta, base = example
-    cut = RankConfig(max_supersteps=5)
-    a = M.run_method(method, old, new, delta, base.ranks, cut.but(engine="local"))
-    b = M.run_method(method, old, new, delta, base.ranks, cut.but(engine="distributed"))
-    work = lambda run: [(t["n_affected"], t["n_expanded"], t["n_settled"], t["edges_read"]) for t in run.trace]
+def work(run):
+    return [(t["n_affected"], t["n_expanded"], t["n_settled"], t["in_edges"]) for t in run.trace]
+
+
+def assert_same(a, b):
     assert work(a) == work(b)
     both = a.ranks.join(b.ranks.withColumnRenamed("rank", "q").withColumnRenamed("ever_affected", "e"), "id")
-    assert both.where("abs(rank - q) > 1e-15 OR ever_affected <> e").count() == 0
+    assert both.count() == a.ranks.count() and both.where("abs(rank - q) > 1e-15 OR ever_affected <> e").count() == 0
+
+
+@pytest.mark.parametrize("method,direction,rounds", [("cold", "push", 7), ("warm", "push", 7), ("reach", "pull", 7), ("reach", "push", 3), ("frontier", "pull", 500), ("frontier", "push", 3), ("pruned", "pull", 3), ("pruned", "push", 500)])
+def test_distributed_rounds_are_local_rounds(example, method, direction, rounds):
+    """In chains and alone, marks of the last round included; two at full length."""
+    old, new, delta, base = example
+    cut = RankConfig(max_supersteps=rounds)
+    a = M.run_method(method, old, new, delta, base.ranks, cut.but(engine="local"))
+    assert_same(a, M.run_method(method, old, new, delta, base.ranks, cut.but(direction=direction)))
+
+
+@pytest.mark.parametrize("workload,method", [("part_flow", "frontier"), ("cust_supp", "pruned")])
+def test_distributed_rounds_are_local_rounds_on_tables(spark, workload, method):
+    p = prepared(spark, SF, workload)
+    a = M.run_method(method, p.old, p.new, p.delta, p.table, RankConfig(engine="local"))
+    for direction in ("pull", "push"):
+        assert_same(a, M.run_method(method, p.old, p.new, p.delta, p.table, RankConfig(direction=direction)))
+
+
+def test_a_small_frontier_costs_what_it_needs(spark):
+    """Edges and states of what was reached are read, not the graph; the run writes what it reached, and the next batch writes what it changes."""
+    p = prepared(spark, SF, "order_chain")
+    run = M.run_method("pruned", p.old, p.new, p.delta, p.table)
+    own = p.new.in_edges(Keys.of(run.changed, p.new.buckets)).count()
+    assert run.changed.count() == run.ranks.where("ever_affected").count() < 0.01 * p.new.n_vertices
+    assert own + run.changed.count() <= run.trace[-1]["rows_scanned"] + 2 and run.trace[-1]["rows_scanned"] < 0.05 * p.new.n_edges
+    assert run.rows_scanned < M.cold_rank(p.new, LOCAL).rows_scanned / 10
+    table = run.table(p.new.n_vertices)
+    assert table.base is p.table.base and table.n_over == run.changed.count()
+    assert p.new.base is p.old.base and p.new.n_net == p.delta.count()
+    assert l1_error(table.df, run.ranks).first()[0] == 0
+
+
+def test_lookups_open_few_buckets(spark):
+    p = prepared(spark, SF, "order_chain")
+    keys = Keys.of(p.new.vertices.limit(1), p.new.buckets)
+    plan = p.new.base.into.of(keys)._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [isnotnull(bucket" in plan and "Exchange hashpartitioning(dst" not in plan
+    assert p.new.base.into.scanned(keys.touched) < p.new.n_edges / 4
 
 
 def test_empty_batch_changes_nothing(spark, example):
@@ -103,14 +144,13 @@ def test_empty_batch_changes_nothing(spark, example):
     for method in ("reach", "frontier", "pruned"):
         run = M.run_method(method, old, old, none, base.ranks)
         assert run.supersteps == 0 and l1_error(run.ranks, base.ranks).first()[0] == 0
-    run = M.frontier_rank(old, old, none, base.ranks, RankConfig(engine="distributed"))
-    assert run.supersteps == 0 and l1_error(run.ranks, base.ranks).first()[0] == 0
 
 
 def test_batches_are_sets(spark):
     old = graph(spark, [(0, 1), (1, 2), (2, 0)])
     raw = spark.createDataFrame([(0, 1, "+"), (0, 2, "+"), (0, 2, "+"), (1, 2, "-"), (2, 1, "-"), (1, 1, "-"), (2, 0, "-"), (2, 0, "+")], DELTA)
-    delta = normalize_delta(old.edges, raw)
+    delta = normalize_delta(old, raw)
+    assert sorted(map(tuple, normalize_delta(old.edges, raw).collect())) == sorted(map(tuple, delta.collect()))
     assert sorted(map(tuple, delta.collect())) == [(0, 2, "+"), (1, 2, "-")]
     new = next_snapshot(old, delta)
     assert sorted(map(tuple, diff_snapshots(old.edges, new.edges).collect())) == [(0, 2, "+"), (1, 2, "-")]
@@ -121,14 +161,14 @@ def test_batches_are_sets(spark):
 
 def test_bound_mass_and_reach(spark):
     p = prepared(spark, SF, "part_flow")
-    cold = M.cold_rank(p.new)
-    ref = M.reference_rank(p.new, RankConfig(max_supersteps=150))
+    cold = M.cold_rank(p.new, LOCAL)
+    ref = M.reference_rank(p.new, LOCAL)
     bound = residual_bound(p.new.edges, p.new.degrees, cold.ranks, p.new.n_vertices, 0.85).first()[0]
     assert l1_error(cold.ranks, ref.ranks).first()[0] <= bound + 1e-13
     total, least = cold.ranks.agg(F.sum("rank"), F.min("rank")).first()
     assert total == pytest.approx(1, abs=1e-8) and least >= 0.15 / p.new.n_vertices - 1e-15
     reached = reach_set(p.old, p.new, p.delta, "union")
-    for run in (M.frontier_rank(p.old, p.new, p.delta, p.base), M.pruned_rank(p.old, p.new, p.delta, p.base)):
+    for run in (M.frontier_rank(p.old, p.new, p.delta, p.table, LOCAL), M.pruned_rank(p.old, p.new, p.delta, p.table)):
         assert run.ranks.where("ever_affected").join(reached, "id", "left_anti").count() == 0
         seeds = seed_frontier(p.old, p.new, p.delta)
         assert seeds.join(run.ranks.where("ever_affected"), "id", "left_anti").count() == 0
@@ -140,7 +180,7 @@ def test_bound_mass_and_reach(spark):
 
 def test_formulas_share_the_fixed_point(spark):
     p = prepared(spark, SF, "cust_supp")
-    tight = RankConfig(tau=1e-15)
+    tight = LOCAL.but(tau=1e-15)
     a = solve(p.new, METHODS["warm"], tight, p.base)
     b = solve(p.new, MethodPlan("x", True, "all", formula="loopfree"), tight, p.base)
     assert l1_error(a.ranks, b.ranks).first()[0] < 1e-11 and b.supersteps < a.supersteps
@@ -149,13 +189,15 @@ def test_formulas_share_the_fixed_point(spark):
 def test_pruned_reads_fewer_edges(spark):
     for w in ("cust_supp", "order_chain"):
         p = prepared(spark, SF, w)
-        cold, pruned = M.cold_rank(p.new), M.pruned_rank(p.old, p.new, p.delta, p.base)
-        assert pruned.edges_read < cold.edges_read / 3
+        cold, pruned = M.cold_rank(p.new, LOCAL), M.pruned_rank(p.old, p.new, p.delta, p.table)
+        assert pruned.in_edges < cold.in_edges / 3
 
 
 def test_planner_and_settings():
     cfg = RankConfig(local_edges=100)
-    assert engine(cfg, 90, 5) == "local" and engine(cfg, 100, 5) == "distributed"
+    assert engine(cfg, 90, 5) == "distributed" and engine(cfg.but(engine="local"), 90, 5) == "local"
+    assert partitions(10, 200, 8) == 1 and partitions(100_000, 200, 8) == 8 and partitions(10**9, 200, 8) == 200
+    assert chained(1, 0.1, [], 1e-10) == 2 and chained(8, 0.1, [1e-9, 2e-10], 1e-10) == 1 and chained(8, 60.0, [], 1e-10) == 1
     with pytest.raises(ValueError):
         engine(cfg.but(engine="local"), 1000, 5)
     assert direction(cfg, 1, 1000) == "pull" and direction(cfg, 900, 1000) == "push"
@@ -175,18 +217,20 @@ def test_thresholds_are_strict():
 
 
 def test_plan_of_a_round(spark):
-    """Edges laid out by source are not shuffled again for a round's join, and the scan reads what it needs."""
-    from pyspark import StorageLevel
+    """Neither edges nor states move in a round, only sums; and a scan reads what it needs."""
+    from incrank.plans.kernel import job_sql
+    from incrank.plans.solver import Rounds
 
     p = prepared(spark, SF, "part_flow")
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    edges = p.new.edges.repartition(parts, "src").persist(StorageLevel.MEMORY_AND_DISK)
-    edges.count()
-    state = p.base.join(p.new.degrees.withColumnRenamed("out_deg", "deg"), "id")
-    plan = push_shares(edges, state)._jdf.queryExecution().executedPlan().toString()
-    edges.unpersist()
-    before = plan.split("InMemoryTableScan [src")[0]
-    assert "Exchange hashpartitioning(src" not in before
+    rounds = Rounds(p.new, METHODS["frontier"], RankConfig(), p.table)
+    state, _ = rounds.job(rounds.push(rounds._first(p.new.vertices.limit(3))), 1)
+    with rounds.planned():
+        state.createOrReplaceTempView(rounds.state_view)
+        plan = spark.sql(job_sql(2, rounds.edge_view, rounds.state_view, p.new.n_vertices, rounds.plan, rounds.cfg))._jdf.queryExecution().executedPlan().toString()
+    plan = "\n".join(x.split("InMemoryRelation")[0] for x in plan.split("InMemoryRelation")[0:1]) if plan.count("InMemoryRelation") == 1 else plan
+    assert plan.count("Exchange hashpartitioning(dst") >= 2 and plan.count("SortMergeJoin") == 2
+    outside = [line for line in plan.split("\n") if "Exchange" in line and "src" in line and not line.lstrip(" :+-*()0123456789").startswith("InMemory")]
+    assert len(outside) <= plan.count("InMemoryRelation")
     scan = workloads.read(spark, SF, "lineitem", "l_partkey").where("l_partkey = 7")._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(l_partkey), EqualTo(l_partkey,7)]" in scan and "ReadSchema: struct<l_partkey:bigint>" in scan
 
@@ -197,7 +241,7 @@ def test_hubs_are_salted(spark):
     g = graph(spark, edges)
     cfg = RankConfig(engine="distributed", max_supersteps=4)
     a, b = M.cold_rank(g, cfg), M.cold_rank(g, cfg.but(hub_degree=10))
-    assert l1_error(a.ranks, b.ranks).first()[0] < 1e-15 and [t["edges_read"] for t in a.trace] == [t["edges_read"] for t in b.trace]
+    assert l1_error(a.ranks, b.ranks).first()[0] < 1e-15 and [t["in_edges"] for t in a.trace] == [t["in_edges"] for t in b.trace]
 
 
 def test_dead_ends_can_be_spread(spark):
@@ -210,7 +254,7 @@ def test_dead_ends_can_be_spread(spark):
 def test_reach_gives_up_beyond_its_share(spark):
     p = prepared(spark, SF, "part_flow")
     assert reach_set(p.old, p.new, p.delta, most_share=0.0) is None
-    run = M.reach_rank(p.old, p.new, p.delta, p.base, most_share=0.0)
+    run = M.reach_rank(p.old, p.new, p.delta, p.base, RankConfig(max_supersteps=2), most_share=0.0)
     assert run.trace[0]["n_affected"] == p.new.n_vertices
 
 
@@ -222,6 +266,38 @@ def test_growing_graphs_mark_everything(spark):
     assert all_ and {r["id"]: r["rank"] for r in ranks_.collect()} == {1: 0.25, 2: 0.25, 3: 0.25, 4: 0.25}
 
 
+@pytest.mark.parametrize("method", ["cold", "warm", "pruned"])
+def test_new_vertices_come_in(spark, method):
+    old = graph(spark, [(0, 1), (1, 2), (2, 0)])
+    delta = normalize_delta(old, spark.createDataFrame([(3, 4, "+"), (4, 1, "+"), (0, 1, "-")], DELTA))
+    with pytest.raises(ValueError):
+        next_snapshot(old, delta)
+    new = next_snapshot(old, delta, "grow")
+    assert (new.n_vertices, new.n_edges) == (5, 9) and new.edges.where("src = dst").count() == 5
+    whole = graph(spark, [(1, 2), (2, 0), (3, 4), (4, 1)])
+    assert sorted(map(tuple, new.degrees.collect())) == sorted(map(tuple, whole.degrees.collect()))
+    run = M.run_method(method, old, new, delta, M.cold_rank(old).ranks, RankConfig(tau=1e-6, tau_f=1e-9, tau_p=1e-9))
+    assert l1_error(run.ranks, M.cold_rank(whole, LOCAL).ranks).first()[0] < 1e-4 and run.ranks.count() == 5
+
+
+def test_layers_fold_and_changes_cancel(spark):
+    """Batches upon batches end where one graph with all their changes begins; what is taken back leaves no trace."""
+    g = graph(spark, [(k, (k + 1) % 40) for k in range(40)])
+    there = spark.createDataFrame([(0, 5, "+"), (7, 8, "-")], DELTA)
+    back = spark.createDataFrame([(0, 5, "-"), (7, 8, "+")], DELTA)
+    one = next_snapshot(g, normalize_delta(g, there))
+    two = next_snapshot(one, normalize_delta(one, back))
+    assert one.n_net == 2 and two.n_net == 0 and two.edges.exceptAll(g.edges).count() == 0 and two.n_edges == g.n_edges
+    many = spark.createDataFrame([(k, (k + 2) % 40, "+") for k in range(12)], DELTA)
+    three = next_snapshot(two, normalize_delta(two, many))
+    assert three.base is not g.base and three.n_net == 0 and three.n_edges == g.n_edges + 12 and three.edges.count() == three.n_edges
+    table = RankTable.store(g.vertices.selectExpr("id", "1.0D / 40 AS rank"), g.buckets, 40)
+    over = table.updated(spark.createDataFrame([(1, 0.5), (2, 0.25)], "id bigint, rank double"))
+    assert over.base is table.base and over.n_over == 2 and over.of(Keys.of(spark.range(1, 4), g.buckets)).agg(F.sum("rank")).first()[0] == pytest.approx(0.775)
+    folded = over.updated(spark.createDataFrame([(k, 0.0) for k in range(2, 9)], "id bigint, rank double"))
+    assert folded.base is not table.base and folded.over is None and folded.df.agg(F.sum("rank")).first()[0] == pytest.approx(0.5 + 32 / 40)
+
+
 def test_scaling_report(spark):
     from incrank.plans.experiments import scaling_report
 
