@@ -1,6 +1,6 @@
 """TIFF columns: walk the image directories of stored files and emit one row per page.
 
-Reads classic TIFF of either byte order: strips and tiles, chunky and planar
+Reads classic TIFF of either byte order (no BigTIFF, no other depths): strips and tiles, chunky and planar
 samples of 8, 16 or 32 bits, raw, PackBits, LZW or deflate, with horizontal or
 floating-point predictors. The writer makes the same kinds of files.
 """
@@ -31,11 +31,17 @@ PAYLOAD_UNIT = 576
 PAGE_ROWS = 512
 
 
+#: How many bytes a byte of stored data can stand for at most, by compression: more than that is not allocated for a page.
+EXPANSION = {RAW: 1, PACKBITS: 64, LZW: 2560, DEFLATE: 1032, OLD_DEFLATE: 1032}
+#: What a broken file can raise, whatever its headers say.
+BROKEN = (ValueError, LookupError, ArithmeticError, MemoryError, TypeError, struct.error, zlib.error)
+
+
 class BadTiff(ValueError):
     pass
 
 
-def unpack_bits(data: bytes) -> bytes:
+def unpack_bits(data: bytes, size: int = 1 << 62) -> bytes:
     out, i, n = [], 0, len(data)
     while i < n:
         head = data[i]
@@ -119,7 +125,8 @@ def lzw_encode(data: bytes) -> bytes:
     return bytes(out) + (acc << pad).to_bytes((bits + pad) >> 3, "big")
 
 
-def lzw_decode(data: bytes) -> bytes:
+def lzw_decode(data: bytes, size: int = 1 << 62) -> bytes:
+    """The first ``size`` bytes at least, or all there are."""
     out, table = [], [*_BYTES, b"", b""]
     acc = bits = at = 0
     width, last, n = 9, b"", len(data)
@@ -148,6 +155,9 @@ def lzw_decode(data: bytes) -> bytes:
                     width += 1
             out.append(entry)
             last = entry
+            size -= len(entry)
+            if size <= 0:
+                break
         elif code == LZW_CLEAR:
             table, width, last = [*_BYTES, b"", b""], 9, b""
         else:
@@ -156,7 +166,11 @@ def lzw_decode(data: bytes) -> bytes:
 
 
 ENCODERS = {RAW: bytes, PACKBITS: pack_bits, LZW: lzw_encode, DEFLATE: lambda b: zlib.compress(b, 1)}
-DECODERS = {RAW: bytes, PACKBITS: unpack_bits, LZW: lzw_decode, DEFLATE: zlib.decompress, OLD_DEFLATE: zlib.decompress}
+def inflate(data: bytes, size: int) -> bytes:
+    return zlib.decompressobj().decompress(data, max(1, size))
+
+
+DECODERS = {RAW: lambda data, size: data, PACKBITS: unpack_bits, LZW: lzw_decode, DEFLATE: inflate, OLD_DEFLATE: inflate}
 
 
 def predict(rows: np.ndarray, predictor: int) -> np.ndarray:
@@ -238,22 +252,33 @@ def read_pages(data: bytes) -> Iterator[Page]:
         compression, predictor, planar = one(COMPRESSION, RAW), one(PREDICTOR, NO_PREDICTOR), one(PLANAR, 1) == 2
         if compression not in DECODERS or bits not in (8, 16, 32) or predictor not in (1, 2, 3):
             raise BadTiff(f"page {index}: compression {compression}, {bits} bits, predictor {predictor}")
-        dtype = np.dtype(order + ("f4" if one(SAMPLE_FORMAT, 1) == 3 else f"u{bits // 8}"))
+        floats = one(SAMPLE_FORMAT, 1) == 3
+        if floats and bits != 32 or predictor == FLOATING and not floats:
+            raise BadTiff(f"page {index}: floating-point samples of {bits} bits, predictor {predictor}")
+        dtype = np.dtype(order + ("f4" if floats else f"u{bits // 8}"))
         tiled = TILE_OFFSETS in tags
         if tiled:
             w, h = one(TILE_WIDTH, 0), one(TILE_LENGTH, 0)
             offsets, counts = tags[TILE_OFFSETS], tags[TILE_BYTES]
         else:
-            w, h = width, min(height, one(STRIP_ROWS, height)) or 1
+            w, h = width, min(height, one(STRIP_ROWS, height))
             offsets, counts = tags[STRIP_OFFSETS], tags[STRIP_BYTES]
+        if min(width, height, samples, w, h) <= 0:
+            raise BadTiff(f"page {index}: {width} x {height} pixels of {samples} samples in parts of {w} x {h}")
         depth = 1 if planar else samples
+        across, down = -(-width // w), -(-height // h)
+        if not len(offsets) == len(counts) == across * down * (samples if planar else 1):
+            raise BadTiff(f"page {index}: {len(offsets)} parts with {len(counts)} lengths, not {across} x {down}")
+        if any(start + count > len(data) for start, count in zip(offsets, counts, strict=True)):
+            raise BadTiff(f"page {index}: a strip or tile lies beyond the file")
+        if height * width * samples * dtype.itemsize > sum(counts) * EXPANSION[compression]:
+            raise BadTiff(f"page {index}: {width} x {height} pixels are more than its data can hold")
         pixels = np.zeros((height, width, samples), dtype.newbyteorder("="))
-        across, down = -(-width // w) if w else 0, -(-height // h)
         for k, (start, count) in enumerate(zip(offsets, counts, strict=True)):
             plane, cell = divmod(k, across * down)
             y, x = divmod(cell, across)
             rows = h if tiled else min(h, height - y * h)
-            part = restore(DECODERS[compression](data[start : start + count]), (rows, w, depth), dtype, predictor)
+            part = restore(DECODERS[compression](data[start : start + count], rows * w * depth * dtype.itemsize), (rows, w, depth), dtype, predictor)
             into = pixels[y * h : y * h + rows, x * w : x * w + w, plane : plane + 1] if planar else pixels[y * h : y * h + rows, x * w : x * w + w]
             into[...] = part[: into.shape[0], : into.shape[1]]
         yield Page(index, width, height, samples, bits, compression, predictor, tiled, pixels)
@@ -306,7 +331,8 @@ def tiff_pages(files: DataFrame, id_col: str = "doc_id", data_col: str = "media"
     """One row per page of each stored file, with its decoded samples and their shape.
 
     A null or empty file has no pages. A broken file gives one row that says so in ``error``, with page -1, after the
-    pages that could be read. Other columns are ignored.
+    pages that could be read: a page's geometry is held against the file's size before anything is allocated or decoded.
+    Other columns are ignored.
     """
     from pyspark.sql import functions as F
 
@@ -324,7 +350,7 @@ def tiff_pages(files: DataFrame, id_col: str = "doc_id", data_col: str = "media"
                         if held > 8 * STEP_BYTES:
                             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
                             rows, held = [], 0
-                except (ValueError, KeyError, IndexError, struct.error, zlib.error) as e:
+                except BROKEN as e:
                     rows.append((key, -1, None, None, None, None, None, None, None, None, str(e)))
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), types, strict=True)], names)
