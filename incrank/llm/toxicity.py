@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import math
 from dataclasses import dataclass
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -20,16 +21,15 @@ from pyspark.sql import functions as F
 
 from .common import _POWERS, LOWER, WORD_CLASS, column_bytes, mix64, ship, steps, stored, texts_of, word_hashes
 
-#: Slots of the score table; a slot also has the 64-bit hash it stands for, so other words that fall into it stay neutral.
-SLOTS = 1 << 18
-#: At most so many words and beginnings have log-odds, those furthest from zero.
-MAX_FEATURES = 1 << 15
+#: Bits of the table that tells most words without log-odds at once; the others' hashes are looked up.
+TELLS = 1 << 20
 #: Besides whole words, their beginnings of these many bytes carry log-odds: words inflect.
 PREFIXES = (5, 6)
 #: At most so many labelled rows are used to fit, those with the smallest hash of doc_id.
 MAX_LABELLED = 30_000
 #: How many standard errors log-odds lose, what they must still reach to count, what each word costs, and the prior's least count.
 CAUTION, LEAST_ODDS, DRIFT, PRIOR = 2.33, 1.0, 0.1, 0.5
+#: Evidence is measured from one to the other: beyond these, a text counts as clean, or as toxic, as any can be.
 LEAST, MOST = -12.0, 24.0
 
 
@@ -56,7 +56,7 @@ def word_lengths(offsets: np.ndarray, data: np.ndarray, starts: np.ndarray) -> n
 
 @dataclass
 class ToxicityModel:
-    """Log-odds of words and beginnings by hash, and the two calibrations. Its size is bounded by ``SLOTS``."""
+    """Log-odds of words and beginnings by hash, in order, and the two calibrations. Its size is that of the bounded labelled sample's vocabulary."""
 
     hashes: np.ndarray
     odds: np.ndarray
@@ -75,46 +75,61 @@ class ToxicityModel:
         return 1 / (1 + np.exp(-np.clip(self.slope * evidence + self.intercept, -500, 500)))
 
 
-def score_table(hashes: np.ndarray, odds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Slots of hashes and of log-odds; of two hashes for one slot, the one further from zero has it."""
-    held, values = np.zeros(SLOTS, np.uint64), np.zeros(SLOTS)
-    order = np.argsort(np.abs(odds), kind="stable")
-    slots = (hashes[order] & np.uint64(SLOTS - 1)).astype(np.int64)
-    held[slots], values[slots] = hashes[order], odds[order]
-    return held, values
+@lru_cache(maxsize=4)
+def _tells(hashes: bytes) -> np.ndarray:
+    held = np.zeros(TELLS, bool)
+    held[(np.frombuffer(hashes, np.uint64) & np.uint64(TELLS - 1)).astype(np.int64)] = True
+    return held
 
 
 def word_scores(model: ToxicityModel, kinds: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
     """The log-odds furthest up among a word and its beginnings, or the word's own, less the drift."""
-    held, values = score_table(model.hashes, model.odds)
     best = np.zeros(len(kinds[0][0]))
+    tells = _tells(model.hashes.tobytes())
     for k, (words, hashes) in enumerate(kinds):
-        slots = (hashes & np.uint64(SLOTS - 1)).astype(np.int64)
-        got = np.where(held[slots] == hashes, values[slots], 0.0)
-        best[words] = got if k == 0 else np.where(got > 0, np.maximum(best[words], got), best[words])
+        some = np.flatnonzero(tells[(hashes & np.uint64(TELLS - 1)).astype(np.int64)])
+        at = np.searchsorted(model.hashes, hashes[some])
+        hit = at < len(model.hashes)
+        hit[hit] = model.hashes[at[hit]] == hashes[some][hit]
+        some, got = some[hit], model.odds[at[hit]]
+        if k == 0:
+            best[words[some]] = got
+        else:
+            up = got > 0
+            at = words[some[up]]
+            best[at] = np.maximum(best[at], got[up])
     return best - DRIFT
 
 
 def maximal_segments(sums: np.ndarray, gains: np.ndarray) -> list[tuple[int, int, float]]:
-    """All maximal-scoring segments: (first, last, score), by position.
+    """All maximal-scoring segments: (first, last, score), by position, in time linear in ``gains``.
 
     ``sums`` has the sum of scores before each word and in all; ``gains`` are the
     positions of words with a positive score. Each candidate is joined with the
-    nearest one before it that starts lower and ends lower, until there is none.
+    nearest one before it that starts lower and ends lower, until there is none. A candidate
+    knows the nearest one before it that starts lower, so that those between are never looked at again; where none starts lower, all
+    before are final and leave the list.
     """
-    held: list[list[float]] = []  # [sum before, sum after, first, last]
-    for k in gains.tolist():
-        item = [float(sums[k]), float(sums[k + 1]), k, k]
+    final: list[tuple[int, int, float]] = []
+    before, after, first, last, lower = [], [], [], [], []
+    for k, low, high in zip(gains.tolist(), sums[gains].tolist(), sums[gains + 1].tolist(), strict=True):
+        start, j = k, len(before) - 1
         while True:
-            j = len(held) - 1
-            while j >= 0 and held[j][0] >= item[0]:
-                j -= 1
-            if j < 0 or held[j][1] >= item[1]:
-                held.append(item)
+            while j >= 0 and before[j] >= low:
+                j = lower[j]
+            if j < 0:
+                final += zip(first, last, map(float.__sub__, after, before), strict=True)
+                before, after, first, last, lower = [low], [high], [start], [k], [-1]
                 break
-            item = [held[j][0], item[1], held[j][2], k]
-            del held[j:]
-    return [(a, b, after - before) for before, after, a, b in held]
+            if after[j] >= high:
+                for held, x in zip((before, after, first, last, lower), (low, high, start, k, j), strict=True):
+                    held.append(x)
+                break
+            low, start, link = before[j], first[j], lower[j]
+            for held in (before, after, first, last, lower):
+                del held[j:]
+            j = link
+    return [*final, *zip(first, last, map(float.__sub__, after, before), strict=True)]
 
 
 def best_segments(offsets: np.ndarray, data: np.ndarray, model: ToxicityModel):
@@ -220,8 +235,10 @@ def fit(docs: DataFrame, labels: DataFrame, allowed, most: int = MAX_LABELLED) -
     error = F.lit(CAUTION) * F.sqrt(1 / (F.col("toxic") + prior) + 1 / (F.col("clean") + prior))
     cautious = F.signum("odds") * F.greatest(F.abs("odds") - error, F.lit(0.0))
     counted = learn.mapInArrow(count, "hash bigint, toxic bigint, clean bigint").groupBy("hash").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
-    table = counted.withColumn("odds", odds).withColumn("odds", cautious).where(F.abs("odds") >= LEAST_ODDS).select("hash", "odds").orderBy(F.desc(F.abs("odds")), "hash").limit(MAX_FEATURES).toPandas()
-    model = ToxicityModel(table["hash"].to_numpy(np.int64).view(np.uint64), table["odds"].to_numpy(float))
+    table = counted.withColumn("odds", odds).withColumn("odds", cautious).where(F.abs("odds") >= LEAST_ODDS).select("hash", "odds").toPandas()
+    hashes = table["hash"].to_numpy(np.int64).view(np.uint64)
+    order = np.argsort(hashes)
+    model = ToxicityModel(hashes[order], table["odds"].to_numpy(float)[order])
 
     def background(batches):
         """Scores of the words of clean texts, in steps of 1/4."""
