@@ -586,3 +586,82 @@ def test_cuts_keep_characters_whole():
     for a in range(len(data)):
         for b in range(a, len(data) + 1):
             suffix.without(data, suffix.whole_characters(data, [(a, b)])).decode()
+
+
+def quadratic_segments(sums, gains):
+    """The definition, without links: a candidate joins the nearest before it that starts lower, if that ends lower too."""
+    held = []
+    for k in gains.tolist():
+        item = [float(sums[k]), float(sums[k + 1]), k, k]
+        while True:
+            j = next((j for j in range(len(held) - 1, -1, -1) if held[j][0] < item[0]), -1)
+            if j < 0 or held[j][1] >= item[1]:
+                held.append(item)
+                break
+            item = [held[j][0], item[1], held[j][2], k]
+            del held[j:]
+    return [(a, b, after - before) for before, after, a, b in held]
+
+
+def test_segments_take_linear_time():
+    import time
+
+    rng = np.random.default_rng(5)
+    for _ in range(300):
+        each = np.round(rng.normal(-0.2, 1.0, rng.integers(1, 60)), 1)
+        sums, gains = np.concatenate([[0.0], np.cumsum(each)]), np.flatnonzero(each > 0)
+        assert toxicity.maximal_segments(sums, gains) == quadratic_segments(sums, gains)
+    took = []
+    for n in (50_000, 400_000):
+        each = np.tile([1.0, -1.5], n)
+        sums, gains = np.concatenate([[0.0], np.cumsum(each)]), np.flatnonzero(each > 0)
+        began = time.perf_counter()
+        assert len(toxicity.maximal_segments(sums, gains)) == n
+        took.append(time.perf_counter() - began)
+    assert took[1] < 40 * took[0] + 1
+
+
+def test_every_word_with_log_odds_counts():
+    """However many words have log-odds, and whatever their hashes share."""
+    hashes = np.sort(np.concatenate([np.arange(1, 60_000, dtype=np.uint64) << np.uint64(21), np.array([7, 8], np.uint64)]))
+    odds = np.linspace(-3, 3, len(hashes))
+    model = toxicity.ToxicityModel(hashes, odds)
+    got = toxicity.word_scores(model, [(np.arange(len(hashes)), hashes)])
+    assert np.allclose(got, odds - toxicity.DRIFT)
+    assert np.allclose(toxicity.word_scores(model, [(np.arange(3), np.array([9, 10, 1 << 60], np.uint64))]), -toxicity.DRIFT)
+
+
+def test_broken_tiffs_give_one_row_each(spark):
+    import struct
+
+    pixels = np.arange(64 * 48, dtype=np.uint8).reshape(64, 48, 1)
+    files = {"strips": media.write_tiff([pixels], media.LZW), "tiles": media.write_tiff([pixels], media.PACKBITS, tile=(16, 16)), "flat": media.write_tiff([pixels], media.DEFLATE)}
+    broken = []
+    for data in files.values():
+        (at,) = struct.unpack("<I", data[4:8])
+        (n,) = struct.unpack_from("<H", data, at)
+        for k in range(n):
+            for value in (0, 1, 0x7FFFFFFF, 0xFFFFFFFF):
+                out = bytearray(data)
+                struct.pack_into("<I", out, at + 2 + 12 * k + 8, value)
+                broken.append(bytes(out))
+            out = bytearray(data)
+            struct.pack_into("<I", out, at + 2 + 12 * k + 4, 0xFFFFFFFF)
+            broken.append(bytes(out))
+        broken += [data[:k] for k in range(0, len(data), 97)]
+    for data in broken:
+        try:
+            assert all(p.pixels.nbytes <= 1 << 24 for p in media.read_pages(data))
+        except media.BROKEN:
+            pass
+    rows = media.tiff_pages(spark.createDataFrame([(k, bytearray(b)) for k, b in enumerate(broken)], "doc_id long, media binary")).groupBy("doc_id").agg({"error": "count"}).collect()
+    assert all(r["count(error)"] <= 1 for r in rows) and sum(r["count(error)"] for r in rows) > len(broken) / 2
+
+
+def test_components_of_a_long_chain(spark):
+    """Labels are right however long the chain, and whatever the order of its ids."""
+    rng = np.random.default_rng(1)
+    ids = rng.permutation(150)
+    links = spark.createDataFrame([(int(a), int(b)) for a, b in zip(ids[:-1], ids[1:])] + [(1000, 1001)], "a long, b long")
+    got = {r["node"]: r["component"] for r in connected_components(links).collect()}
+    assert len(got) == 152 and {got[int(k)] for k in ids} == {0} and got[1001] == 1000
