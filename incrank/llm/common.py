@@ -28,6 +28,21 @@ def partitions_for(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
 
 
+#: A key with more rows than this, and than the share 1 / MOST_HOT of all rows, is hot: so at most MOST_HOT keys are.
+HOT_ROWS, MOST_HOT = 256, 10_000
+
+
+def join_per_key(rows: DataFrame, per_key: DataFrame, keys: list[str], size: str, total: int) -> DataFrame:
+    """``rows`` joined with a table of one row per key, whose column ``size`` says how many of the ``total`` rows have the key.
+
+    Rows of hot keys stay where they are and get their keys' rows sent, of which there are ``MOST_HOT`` at most; all others are joined by key.
+    """
+    limit = max(HOT_ROWS, total // MOST_HOT)
+    hot = F.broadcast(per_key.where(F.col(size) > limit))
+    cold = rows.join(hot.select(*keys), keys, "left_anti").join(per_key.where(F.col(size) <= limit), keys)
+    return rows.join(hot, keys).unionByName(cold)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

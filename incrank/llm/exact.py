@@ -3,7 +3,7 @@
 The stream keeps disk-backed keyed state (RocksDB) that never expires: for each
 digest the stable identifier of the row that stays, how many rows had it, and a
 locator of that row's content. Digests only nominate: rows whose digest was hit
-are read again and their full bytes compared, and a digest that stands for
+are read again by their locators and their full bytes compared, and a digest that stands for
 different bytes is taken apart. Only DataFrame and SQL functions are used.
 """
 
@@ -11,10 +11,10 @@ from __future__ import annotations
 
 import string
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
-from .common import drop_path, partitions_for, scratch, stored, texts_of
+from .common import join_per_key, partitions_for, scratch, stored, texts_of
 
 ROCKSDB = "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
 
@@ -30,9 +30,12 @@ def sha256(text: Column) -> Column:
 
 def digest_log(docs: DataFrame, digest=sha256) -> DataFrame:
     """One slim row per document: what the stream reads."""
-    return texts_of(docs).select(
-        "doc_id", digest(folded(F.col("text"))).alias("digest"), F.octet_length("text").cast("long").alias("n_bytes"), F.concat(F.input_file_name(), F.lit("#"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))).alias("locator")
-    )
+    return texts_of(docs).select("doc_id", digest(folded(F.col("text"))).alias("digest"), F.octet_length("text").cast("long").alias("n_bytes"), locator().alias("locator"))
+
+
+def locator() -> Column:
+    """Where a row's content lies: its file, its doc_id, and a checksum that tells rows of one doc_id, or of none, apart."""
+    return F.concat(F.input_file_name(), F.lit("#"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit("#"), F.hex(F.xxhash64("text")))
 
 
 def keyed_state(log: DataFrame) -> DataFrame:
@@ -80,20 +83,21 @@ def exact_dedup(docs: DataFrame, digest=sha256) -> DataFrame:
     spark = docs.sparkSession
     log_path, state_path = scratch(spark, "digests"), scratch(spark, "dedup-state")
     log = digest_log(docs, digest)
-    log.write.parquet(log_path)
+    seen = Observation()
+    log.observe(seen, F.count(F.lit(1)).alias("n")).write.parquet(log_path)
     log = spark.read.schema(log.schema).parquet(log_path)
     if log.isEmpty():
         state = log.select("digest", F.col("doc_id").alias("keep_id"), "locator", F.col("n_bytes").alias("group_size"))
     else:
-        state = run_stream(spark, log_path, log.schema, state_path)
-    hit = state.where("group_size > 1").select("digest", "keep_id")
-
-    # Full bytes of every row whose digest was hit. The join is on the unique doc_id, so copies spread over all tasks,
-    # and each task sends at most one pair of texts for a digest.
-    hits = log.join(hit, "digest", "left_semi").select("doc_id", "digest")
-    texts = texts_of(docs).join(hits, "doc_id").select("digest", folded(F.col("text")).alias("text"))
+        state = stored(run_stream(spark, log_path, log.schema, state_path), "dedup-digests")
+    total = seen.get["n"]
+    named = join_per_key(log.select("doc_id", "digest", F.xxhash64("locator").alias("place")), state, ["digest"], "group_size", total)
+
+    # Full bytes of every row whose digest was hit, by its locator: copies spread over all tasks, and each task sends at most one
+    # pair of texts for a digest. Two locators with one checksum only put more texts side by side.
+    hits = named.where("group_size > 1").select("place", "digest").distinct()
+    texts = texts_of(docs).select("text", F.xxhash64(locator()).alias("place")).join(hits, "place").select("digest", folded(F.col("text")).alias("text"))
     clash = stored(texts.groupBy("digest").agg(F.min("text").alias("a"), F.max("text").alias("b")).where("a <> b").select("digest"), "clash")
-    named = log.select("doc_id", "digest").join(state, "digest")
     if clash.isEmpty():
         return named.select("doc_id", "keep_id", "group_size", F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"), "locator")
 
