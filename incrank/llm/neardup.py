@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import release_shuffles
-from .common import _POWERS, column_bytes, mix64, partitions_for, steps, stored, texts_of, word_hashes
+from .common import _POWERS, column_bytes, join_per_key, mix64, partitions_for, steps, stored, texts_of, word_hashes
 from .components import connected_components
 from .suffix import NO_ID, home, joined, multikey_order, packed, unpacked
 
@@ -470,7 +470,8 @@ def near_duplicates(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     weights = idf_weights(frequencies, documents)
     signed = stored(texts.where("doc_id IS NOT NULL").mapInArrow(sign(weights), SIGNED), "signatures")
     release_shuffles(spark)
-    members = signed.select("doc_id", "print_a", "print_b").join(signed.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep_id")), ["print_a", "print_b"]).select("doc_id", "rep_id")
+    prints = stored(signed.groupBy("print_a", "print_b").agg(F.min("doc_id").alias("rep_id"), F.count(F.lit(1)).alias("copies")), "prints")
+    members = join_per_key(signed.select("doc_id", "print_a", "print_b"), prints, ["print_a", "print_b"], "copies", documents).select("doc_id", "rep_id")
     members = stored(members, "members")
     reps = stored(signed.join(members.where("doc_id = rep_id").select("doc_id").distinct(), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "draws", "bands"), "reps")
     pairs = band_pairs(reps, partitions_for(spark))
