@@ -442,20 +442,29 @@ def judge_edges(parts: int):
     return kernel
 
 
-def splitters_of(texts: DataFrame, total: int, partitions: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """(splitters, hot tokens, buckets) from a bounded sample of documents; the driver sees at most SAMPLE_RECORDS tokens."""
+def splitters_of(texts: DataFrame, total: int, size: int, partitions: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """(splitters, hot tokens, buckets) from a bounded sample of documents; the driver sees at most SAMPLE_RECORDS tokens.
+
+    Buckets are as many as the records of all ``size`` bytes need, at the rate of records that the whole sample has.
+    """
     every = max(1, total // SAMPLE_DOCS)
     seen = texts.where(F.pmod(F.xxhash64("doc_id"), F.lit(every)) == 0).limit(4 * SAMPLE_DOCS)
 
     def kernel(batches):
         for _, _, offsets, data, _ in blocks_of(batches):
             token = runs_of(offsets, data)[0]
-            yield pa.RecordBatch.from_arrays([pa.array(token.view(np.int64))], ["token"])
-
-    tokens = seen.mapInArrow(kernel, "token bigint").orderBy(F.xxhash64("token", F.monotonically_increasing_id())).limit(SAMPLE_RECORDS) if every > 1 else seen.mapInArrow(kernel, "token bigint").limit(SAMPLE_RECORDS)
+            weight = np.zeros(len(token) + 1, np.int64)
+            weight[-1] = len(data)
+            yield pa.RecordBatch.from_arrays([pa.array(np.append(token, U(0)).view(np.int64)), pa.array(weight)], ["token", "bytes"])
+
+    # one row more for each block says how many bytes it has
+    found = stored(seen.mapInArrow(kernel, "token bigint, bytes bigint"), "suffix-sample")
+    runs, looked_at = found.agg(F.count_if(F.col("bytes") == 0), F.coalesce(F.sum("bytes"), F.lit(0))).first()
+    tokens = found.where("bytes = 0").select("token")
+    if runs > SAMPLE_RECORDS:
+        tokens = tokens.orderBy(F.xxhash64("token", F.monotonically_increasing_id())).limit(SAMPLE_RECORDS)
     sample = np.sort(tokens.toArrow().column(0).to_numpy().view(U))
-    documents = max(1, min(total, 4 * SAMPLE_DOCS, total // every))
-    parts = max(partitions, int(len(sample) / documents * total / BUCKET_RECORDS) + 1)
+    parts = max(partitions, int(runs / max(1, looked_at) * size / BUCKET_RECORDS) + 1)
     if not len(sample):
         return np.zeros(parts - 1, U), np.zeros(0, U), parts
     values, counts = np.unique(sample, return_counts=True)
@@ -490,8 +499,8 @@ def verdicts(rows: DataFrame) -> DataFrame:
     """doc_id, blocks: the runs of strings to remove, for rows that have any; doc_id is the key that :func:`keyed` gave the row."""
     spark = rows.sparkSession
     texts = texts_of(rows, KEY)
-    total = texts.count()
-    splitters, hot, parts = splitters_of(texts, total, partitions_for(spark))
+    total, size = texts.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    splitters, hot, parts = splitters_of(texts, total, size, partitions_for(spark))
     sent = texts.mapInArrow(send_runs(splitters, hot, parts), SENT).repartitionById(parts, F.col("part"))
     back = sent.mapInArrow(judge_runs(parts), SENT).repartitionById(parts, F.col("part"))
     first = stored(back.mapInArrow(by_document, VERDICTS), "suffix-runs")

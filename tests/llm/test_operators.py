@@ -13,7 +13,7 @@ import pytest
 import tiktoken
 from pyspark.sql import functions as F
 
-from incrank.llm import bpe, exact, media, neardup, packing, quality, sharding, suffix, tokencounts, toxicity
+from incrank.llm import bpe, common, exact, media, neardup, packing, quality, sharding, suffix, tokencounts, toxicity
 from incrank.llm.common import column_bytes, texts_of
 from incrank.llm.components import connected_components
 
@@ -540,8 +540,8 @@ def test_repeats_are_those_of_brute_force(spark, seed, hot, monkeypatch):
     if hot:  # every token that the sample has twice counts as hot
         real = suffix.splitters_of
 
-        def splitters(texts, total, partitions):
-            cuts, _, parts = real(texts, total, partitions)
+        def splitters(*args):
+            cuts, _, parts = real(*args)
             tokens = np.concatenate([suffix.runs_of(*column_bytes(pa.array([t])))[0] for _, t in rows])
             values, n = np.unique(tokens, return_counts=True)
             return cuts, values[n > 1][::2], parts
@@ -665,3 +665,37 @@ def test_components_of_a_long_chain(spark):
     links = spark.createDataFrame([(int(a), int(b)) for a, b in zip(ids[:-1], ids[1:])] + [(1000, 1001)], "a long, b long")
     got = {r["node"]: r["component"] for r in connected_components(links).collect()}
     assert len(got) == 152 and {got[int(k)] for k in ids} == {0} and got[1001] == 1000
+
+
+def test_weak_digests_of_rows_without_id_are_taken_apart(spark):
+    """Rows without doc_id are read again by their locators: a digest that stands for two of their texts is seen."""
+    rows = [(None, "alpha"), (None, "bravo"), (None, "alpha"), (1, "x")]
+    weak = lambda text: F.substring(F.sha2(F.length(text).cast("string").cast("binary"), 256), 1, 4).cast("binary")
+    got = exact.exact_dedup(spark.createDataFrame(rows, "doc_id long, text string"), weak)
+    assert sorted(r["group_size"] for r in got.collect()) == [1, 1, 2, 2]
+
+
+def test_hot_keys_are_joined_as_all_others(spark, monkeypatch):
+    monkeypatch.setattr(common, "HOT_ROWS", 3)
+    rows = spark.createDataFrame([(k, "hot" if k < 20 else f"k{k % 7}") for k in range(40)], "n int, key string")
+    keys = rows.groupBy("key").agg(F.min("n").alias("least"), F.count(F.lit(1)).alias("copies"))
+    got = common.join_per_key(rows, keys, ["key"], "copies", 40)
+    assert sorted((r["n"], r["least"], r["copies"]) for r in got.collect()) == sorted((r["n"], r["least"], r["copies"]) for r in rows.join(keys, "key").collect())
+
+
+def test_rows_without_id_go_to_all_shards(spark):
+    docs = spark.createDataFrame([(None, "same") for _ in range(320)] + [(5, "t") for _ in range(160)], "doc_id long, text string")
+    got = sharding.shuffled_shards(docs, 16, rows_per_block=50).toPandas()
+    assert got.groupby("shard").size().tolist() == [30] * 16
+    assert (got.groupby("shard").slot.agg(["min", "max"]).values == [0, 29]).all()
+    # of the 160 rows with one id, a uniform shuffle puts some ten in each shard
+    assert got[got.doc_id == 5].groupby("shard").size().reindex(range(16), fill_value=0).between(2, 22).all()
+
+
+def test_a_large_matrix_takes_seconds():
+    import time
+
+    began = time.perf_counter()
+    rows = sharding.communication_matrix([2_000_000] * 64, sharding.shard_sizes(128_000_000, 16), 3)
+    assert all(sum(r) == 2_000_000 for r in rows) and [sum(c) for c in zip(*rows, strict=True)] == [8_000_000] * 16
+    assert time.perf_counter() - began < 10
