@@ -48,6 +48,8 @@ def shared_dir(spark: SparkSession) -> str:
     """The folder that all executors share, as the session names it; one of our own only where it names none."""
     path = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if not path:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir names no folder; on a cluster, what one machine writes locally no other can read")
         app = spark.sparkContext.applicationId
         path = _own_folder.setdefault(app, "file://" + tempfile.mkdtemp(prefix="incrank-"))
         if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
