@@ -33,31 +33,40 @@ class Prepared:
 
 
 _ready: dict[tuple, Prepared] = {}
+_started: dict[tuple, tuple[DataFrame, int, Snapshot, RankTable]] = {}
 
 
 def static_batch(vertices: DataFrame, edges: DataFrame, fraction: float, seed: int = 42) -> DataFrame:
     return batches.random_batch(vertices, edges, edges.count(), fraction, seed=seed)
 
 
+def started(spark: SparkSession, sf_dir: str, workload: str, cfg: RankConfig) -> tuple[DataFrame, int, Snapshot, RankTable]:
+    """A workload's edges and their number, its first snapshot and that one's ranks: the same whatever the batch."""
+    key = (spark.sparkContext.applicationId, sf_dir, workload, cfg)
+    if key not in _started:
+        edges = stored(workloads.build(spark, sf_dir, workload), workload)
+        total = edges.count()
+        first = batches.preload_split(edges, total) if workload in workloads.TEMPORAL else edges.where("src <> dst").distinct()
+        old = snapshot(vertices_of(edges), first, cfg.dangling == "self_loops")
+        run = cold_rank(old, cfg)
+        _started[key] = (edges, total, old, run.table(old.n_vertices))
+        run.drop()
+        old.release()
+    return _started[key]
+
+
 def prepared(spark: SparkSession, sf_dir: str, workload: str, fraction: float = FRACTION, cfg: RankConfig | None = None) -> Prepared:
     """Built once per application, table folder and settings: ranks of the old graph are an input of every method."""
     cfg = cfg or RankConfig()
     key = (spark.sparkContext.applicationId, sf_dir, workload, fraction, cfg)
     if key not in _ready:
-        edges = stored(workloads.build(spark, sf_dir, workload), workload)
-        vertices = vertices_of(edges)
+        edges, total, old, table = started(spark, sf_dir, workload, cfg)
         if workload in workloads.TEMPORAL:
-            total = edges.count()
-            old_edges = batches.preload_split(edges, total)
-            delta = batches.slice_batches(edges, total, fraction, 1)
+            raw = batches.slice_batches(edges, total, fraction, 1)
         else:
-            old_edges = edges.where("src <> dst").distinct()
-            delta = static_batch(vertices, old_edges, fraction)
-        loops = cfg.dangling == "self_loops"
-        old = snapshot(vertices, old_edges, loops)
-        delta = stored(normalize_delta(old, delta), "delta")
-        _ready[key] = Prepared(workload, old, next_snapshot(old, delta), delta, cold_rank(old, cfg).table(old.n_vertices))
-        old.release()
+            raw = static_batch(old.vertices, old.edges.where("src <> dst"), fraction)
+        delta = stored(normalize_delta(old, raw), "delta")
+        _ready[key] = Prepared(workload, old, next_snapshot(old, delta), delta, table)
     return _ready[key]
 
 
