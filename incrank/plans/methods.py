@@ -62,7 +62,7 @@ def run_method(name: str, old: Snapshot, new: Snapshot, delta: DataFrame, prev:
     return frontier_rank(old, new, delta, prev, cfg, METHODS[name])
 
 
-def carry_ranks(vertices: DataFrame, prev: Ranks, universe: str = "fixed") -> tuple[DataFrame, bool]:
+def carry_ranks(vertices: DataFrame, prev: DataFrame, universe: str = "fixed", sizes: tuple[int, int] | None = None) -> tuple[DataFrame, bool]:
     """Old ranks for a vertex set, and whether every vertex must be marked.
 
     fixed: vertices are those of the old ranks. grow: old ranks shrink to their share of the larger set, newcomers get an even
