@@ -27,9 +27,9 @@ def direction(cfg: RankConfig, in_edges: int, n_edges: int) -> str:
 
 
 def partitions(rows: int, most: int, cores: int) -> int:
-    """Partitions of a run's tables: by rows, and enough for all cores as soon as there is work for them."""
+    """Partitions of a run's tables: by rows, and enough for all cores as soon as there is work for them; two at least, as one is dealt by no key."""
     by_rows = -(-rows // PART_ROWS)
-    return max(1, min(most, max(by_rows, min(cores, -(-rows // 5_000)))))
+    return min(most, max(2, by_rows, min(cores, -(-rows // 5_000))))
 
 
 def hub_salts(cfg: RankConfig, max_out_degree: int) -> int:
