@@ -327,17 +327,17 @@ def a_footrule(spark, sf_dir):
 _WORK = ("event_flow", "part_flow", "order_chain")
 
 
-@op(f"WITH w AS ({_runs_sql(_WORK)}), g AS (SELECT method, exp(avg(ln(in_edges))) AS x FROM w GROUP BY method) SELECT method, {E9.format("(SELECT x FROM g WHERE method = 'cold') / x")} AS speedup FROM g")
+@op(f"WITH w AS ({_runs_sql(_WORK)}), g AS (SELECT method, exp(avg(ln(greatest(in_edges, 1)))) AS x FROM w GROUP BY method) SELECT method, {E9.format("(SELECT x FROM g WHERE method = 'cold') / x")} AS speedup FROM g")
 def a_geomean_speedup(spark, sf_dir):
     """Ratio of the geometric means over graphs, of the edges that three graphs' runs needed."""
-    g = measures.geomean(measured(spark, sf_dir, _WORK).withColumn("in_edges", F.col("in_edges").cast("double")), ["method"], "in_edges").withColumn("all", F.lit(1))
+    g = measures.geomean(measured(spark, sf_dir, _WORK).withColumn("in_edges", F.greatest("in_edges", F.lit(1)).cast("double")), ["method"], "in_edges").withColumn("all", F.lit(1))
     return measures.speedup(g, "cold", ["all"], column="in_edges").select("method", e9(F.col("speedup")).alias("speedup"))
 
 
-@op(f"WITH w AS ({_runs_sql(_WORK)}) SELECT w.method, {E9.format('avg(c.in_edges / w.in_edges)')} AS mean_speedup FROM w JOIN w c ON c.workload = w.workload AND c.method = 'cold' GROUP BY w.method")
+@op(f"WITH w AS ({_runs_sql(_WORK)}) SELECT w.method, {E9.format('avg(greatest(c.in_edges, 1) / greatest(w.in_edges, 1))')} AS mean_speedup FROM w JOIN w c ON c.workload = w.workload AND c.method = 'cold' GROUP BY w.method")
 def a_mean_speedup(spark, sf_dir):
     """The arithmetic mean of ratios to cold, of the same runs."""
-    ratios = measures.speedup(measured(spark, sf_dir, _WORK), "cold", ["workload"], column="in_edges")
+    ratios = measures.speedup(measured(spark, sf_dir, _WORK).withColumn("in_edges", F.greatest("in_edges", F.lit(1))), "cold", ["workload"], column="in_edges")
     return measures.mean_speedup(ratios).select("method", e9(F.col("mean_speedup")).alias("mean_speedup"))
 
 
