@@ -304,6 +304,21 @@ def test_layers_fold_and_changes_cancel(spark):
     assert folded.base is not table.base and folded.over is None and folded.df.agg(F.sum("rank")).first()[0] == pytest.approx(0.5 + 32 / 40)
 
 
+def test_yardsticks_beyond_one_task(spark, monkeypatch):
+    """Errors and sweeps are measured on graphs of any size; beyond ``local_edges`` their rounds are distributed, with the same results."""
+    from incrank.operators import ranks
+    from incrank.plans.experiments import spread_settings, sweep_work
+
+    short = ranks.REFERENCE.but(max_supersteps=60)
+    got = []
+    for cfg in (short, short.but(local_edges=100)):
+        monkeypatch.setattr(ranks, "REFERENCE", cfg)
+        monkeypatch.setattr(ranks, "_references", {})
+        swept = sweep_work(spark, SF, ["event_flow"], spread_settings({"rel": [1e-1, 1e-3]}), 1e-2, cfg)
+        got.append((ranks.error(spark, SF, "event_flow", "pruned").collect(), sorted(swept.selectExpr("workload", "setting", "supersteps", "in_edges", "affected", "round(l1, 10)").collect())))
+    assert got[0] == got[1] and len(got[0][1]) == 2
+
+
 def test_scaling_report(spark):
     from incrank.plans.experiments import scaling_report
 
