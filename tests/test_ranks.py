@@ -304,6 +304,22 @@ def test_layers_fold_and_changes_cancel(spark):
     assert folded.base is not table.base and folded.over is None and folded.df.agg(F.sum("rank")).first()[0] == pytest.approx(0.5 + 32 / 40)
 
 
+def test_scaling_needs_no_process_of_its_own(spark, monkeypatch):
+    """Nothing but the caller's session is used: a second Spark may not be there to be had."""
+    import subprocess
+
+    from incrank.plans.experiments import scaling_report
+
+    def refuse(*args, **more):
+        raise OSError("no second process")
+
+    monkeypatch.setattr(subprocess, "run", refuse)
+    was = spark.conf.get("spark.sql.shuffle.partitions")
+    got = scaling_report(spark, SF, "event_flow", (1, 2), 1e-3, ("pruned",)).collect()
+    assert [(r["method"], r["cores"]) for r in sorted(got, key=lambda r: r["cores"])] == [("pruned", 1), ("pruned", 2)]
+    assert spark.conf.get("spark.sql.shuffle.partitions") == was
+
+
 def test_yardsticks_beyond_one_task(spark, monkeypatch):
     """Errors and sweeps are measured on graphs of any size; beyond ``local_edges`` their rounds are distributed, with the same results."""
     from incrank.operators import ranks
