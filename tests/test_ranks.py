@@ -320,6 +320,23 @@ def test_scaling_needs_no_process_of_its_own(spark, monkeypatch):
     assert spark.conf.get("spark.sql.shuffle.partitions") == was
 
 
+def test_nearest_of_sparse_ids_with_ties(spark):
+    """Ids may lie anywhere, and many vectors may be equal: ties go to the smaller id, whatever blocks they lie in."""
+    from incrank.functions.vectors import nearest
+
+    rng = np.random.default_rng(3)
+    v = np.concatenate([np.repeat(rng.normal(size=(3, 16)), 40, axis=0), rng.normal(size=(30, 16))]).astype(np.float32)
+    ids = rng.permutation(len(v)) * 10**15 + 7
+    got = {(r["src"], r["place"]): r["dst"] for r in nearest(spark.createDataFrame([(int(i), x.tolist()) for i, x in zip(ids, v, strict=True)], "vec_id bigint, embedding array<float>"), 4, 20).collect()}
+    u = v.astype(float) / np.linalg.norm(v.astype(float), axis=1, keepdims=True)
+    far = -np.round(u @ u.T, 9)
+    want = {}
+    for k in range(len(v)):
+        order = [j for j in np.lexsort((ids, far[k])) if j != k][:4]
+        want |= {(int(ids[k]), p + 1): int(ids[j]) for p, j in enumerate(order)}
+    assert got == want
+
+
 def test_yardsticks_beyond_one_task(spark, monkeypatch):
     """Errors and sweeps are measured on graphs of any size; beyond ``local_edges`` their rounds are distributed, with the same results."""
     from incrank.operators import ranks
