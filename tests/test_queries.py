@@ -52,6 +52,12 @@ def test_every_query_is_named_once_and_has_its_oracle():
     assert set(e.oracle_sql()) <= set(e.queries())
 
 
+def test_scaling_table_reads_its_table(spark):
+    from incrank.operators.blocks import a_scaling_table
+
+    assert a_scaling_table(spark, SF).inputFiles()
+
+
 def test_approximate_aggregates(spark):
     from incrank.operators.relational import agg_approx
     from incrank.sources.workloads import cust_supp
