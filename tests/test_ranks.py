@@ -357,3 +357,52 @@ def test_scaling_report(spark):
 
     got = scaling_report(spark, SF, "event_flow", (1, 2), 1e-3, ("pruned",)).toPandas()
     assert sorted(got.cores) == [1, 2] and (got.seconds > 0).all() and got[got.cores == 1].speedup.tolist() == [1.0]
+
+
+@pytest.mark.parametrize("parts", [1, 5])
+def test_rounds_in_parts(spark, monkeypatch, parts):
+    """However many parts a graph has, one job does all rounds up to the stop or the next fetch; they are those of SQL, round by round."""
+    from incrank.plans import arrays
+    from incrank.plans.solver import Rounds
+
+    def runs(cfgs):
+        out = []
+        for m, cfg in cfgs:
+            run = M.run_method(m, p.old, p.new, p.delta, p.table, cfg)
+            out.append(([{c: t[c] for c in ("superstep", "n_affected", "n_expanded", "n_settled", "in_edges", "rows_scanned")} for t in run.trace], {r["id"]: (pytest.approx(r["rank"], abs=1e-15), r["ever_affected"]) for r in run.ranks.collect()}))
+        return out
+
+    p = prepared(spark, SF, "part_flow")
+    cfgs = [(m, RankConfig()) for m in METHODS] + [("frontier", RankConfig(direction="push", max_supersteps=3)), ("warm", RankConfig(dangling="redistribute", norm="l1", tau=1e-6, max_supersteps=6))]
+    monkeypatch.setattr(arrays, "parts_for", lambda spark, rows: 0)
+    want = runs(cfgs)
+    monkeypatch.setattr(arrays, "parts_for", lambda spark, rows: parts)
+    monkeypatch.setattr(Rounds, "job", lambda *args: pytest.fail("a job for each chain of rounds"))
+    assert runs(cfgs) == want
+
+
+def test_parts_that_do_not_fit(spark, monkeypatch):
+    """Rounds stay jobs of SQL where a part would be too large, or the session deals rows otherwise than asked; a task that fails ends all."""
+    from incrank.plans import arrays
+
+    p = prepared(spark, SF, "part_flow")
+    assert arrays.slots(spark) == 8 and arrays.parts_for(spark, 50 * arrays.PART_ROWS) == 8 and not arrays.parts_for(spark, 9 * arrays.MOST_ROWS)
+    assert p.new.even(4, p.new.n_edges) and not p.new.even(4, 100)
+    monkeypatch.setattr(arrays, "dealt", lambda *args: None)
+    assert len(M.cold_rank(p.new, RankConfig(max_supersteps=2)).trace) == 2
+    monkeypatch.undo()
+    monkeypatch.setattr(arrays, "parts_for", lambda spark, rows: 3)
+    with pytest.raises(Exception, match="division by zero|ZeroDivision"):
+        arrays._tried(spark, lambda folder: spark.range(3).repartition(3).mapInArrow(arrays._guarded(folder, lambda batches: [1 / 0]), "id bigint", barrier=True).collect())
+
+
+def test_sweeps_in_parts(spark, monkeypatch):
+    """All settings of a sweep beyond one task share the parts: none is a run of its own."""
+    from incrank.plans import arrays, experiments
+
+    cfg = RankConfig(tau=1e-100, max_supersteps=40, engine="where_it_fits")
+    settings_ = experiments.spread_settings({"rel": [1e-1, 1e-3]}) + experiments.settle_settings((1e-6,), (1.0,))
+    monkeypatch.setattr(experiments, "solve", lambda *args: pytest.fail("a run of its own"))
+    monkeypatch.setattr(experiments, "parts_for", lambda spark, rows: 3)
+    rows = lambda c: sorted(map(tuple, experiments.sweep_work(spark, SF, ["part_flow"], settings_, 1e-2, c).selectExpr("workload", "setting", "supersteps", "in_edges", "affected", "round(l1, 10)").collect()))
+    assert rows(cfg.but(local_edges=100)) == rows(cfg)
