@@ -406,3 +406,23 @@ def test_sweeps_in_parts(spark, monkeypatch):
     monkeypatch.setattr(experiments, "parts_for", lambda spark, rows: 3)
     rows = lambda c: sorted(map(tuple, experiments.sweep_work(spark, SF, ["part_flow"], settings_, 1e-2, c).selectExpr("workload", "setting", "supersteps", "in_edges", "affected", "round(l1, 10)").collect()))
     assert rows(cfg.but(local_edges=100)) == rows(cfg)
+
+
+def test_long_paths_are_not_fetched_step_by_step(spark, monkeypatch):
+    """A frontier that goes on along paths is fetched a few times; then, if it has enough rows, all its rounds are one job over all edges, with the same result."""
+    from incrank.plans import planner
+    from incrank.plans.solver import Rounds
+
+    monkeypatch.setattr(planner, "FETCHED_ROWS", 4)
+
+    old = graph(spark, [(k, k + 1) for k in range(60)])
+    delta = normalize_delta(old, spark.createDataFrame([(0, 30, "+")], DELTA))
+    new, base = next_snapshot(old, delta), M.cold_rank(old).ranks
+    fetched, fetch = [], Rounds.fetch
+    monkeypatch.setattr(Rounds, "fetch", lambda self, keys: (fetched.append(keys.n), fetch(self, keys)))
+    run = M.frontier_rank(old, new, delta, base)
+    assert 1 < len(fetched) <= 5
+    one = M.frontier_rank(old, new, delta, base, LOCAL)
+    assert l1_error(run.ranks, one.ranks).first()[0] < 1e-12 and [t["in_edges"] for t in run.trace] == [t["in_edges"] for t in one.trace]
+    reached = lambda r: sorted(v["id"] for v in r.ranks.where("ever_affected").collect())
+    assert reached(run) == reached(one)
